@@ -33,8 +33,8 @@ from .common import in_batches, slim, written
 from .components import components
 
 REGISTERS, BANDS = 128, 32
-HUB_ROUNDS = 3
-BLOCK = 512  # documents of one side of an exact block comparison
+HUB_ROUNDS = 2
+BLOCK = 1024  # documents of one side of an exact block comparison
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -153,47 +153,101 @@ def _open(members: DataFrame, comp: DataFrame) -> DataFrame:
     return now.join(mixed, "key", "left_semi")
 
 
+def _hashed_sets(texts: DataFrame, n: int) -> DataFrame:
+    """doc_id, hashes: the full shingle set as packed 64-bit hashes."""
+
+    def kernel(t: pa.Table) -> Iterator[pa.Table]:
+        h, owner = hashed_shingles([words_of(x) for x in t.column("text").to_pylist()], n)
+        ends = np.searchsorted(owner, np.arange(1, t.num_rows))
+        yield pa.table([t.column("doc_id"), pa.array([x.tobytes() for x in np.split(h, ends)], pa.binary())], names=["doc_id", "hashes"])
+
+    return in_batches(texts, kernel, "doc_id long, hashes binary")
+
+
+def spanning_links(ids: np.ndarray, comp: np.ndarray, block: np.ndarray, sets: list[np.ndarray], num: int, den: int) -> list[tuple[int, int]]:
+    """Links between components among all pairs of documents (of two blocks, or within one), from exact intersection sizes.
+
+    Shared shingles are the columns of a 0/1 matrix; its products, taken over slices of columns, count them for all pairs at once.
+    """
+    size = np.fromiter(map(len, sets), np.int64, len(sets))
+    _, column, many = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    row, shared = np.repeat(np.arange(len(sets)), size), many[column] > 1
+    number = np.cumsum(many > 1) - 1
+    row, column = row[shared], number[column[shared]]
+    left = np.flatnonzero(block == block.min())
+    right = left if block.min() == block.max() else np.flatnonzero(block == block.max())
+    both = np.zeros((len(left), len(right)), np.float32)
+    order = np.argsort(column, kind="stable")
+    row, column = row[order], column[order]
+    for a in range(0, int(column[-1]) + 1 if len(column) else 0, 4096):
+        lo, hi = np.searchsorted(column, [a, a + 4096])
+        m = np.zeros((len(sets), 4096), np.float32)
+        m[row[lo:hi], column[lo:hi] - a] = 1
+        both += m[left] @ m[right].T
+    total = size[left][:, None] + size[right][None, :] - both
+    near = (den * both >= num * total) & (comp[left][:, None] != comp[right][None, :])
+    parent: dict[int, int] = {}
+
+    def root(c: int) -> int:
+        while parent.get(c, c) != c:
+            c = parent[c]
+        return c
+
+    out = []
+    for x, y in zip(*(side.tolist() for side in np.nonzero(near)), strict=True):
+        a, b = root(int(comp[left[x]])), root(int(comp[right[y]]))
+        if a != b:
+            parent[max(a, b)] = min(a, b)
+            out.append((int(ids[left[x]]), int(ids[right[y]])))
+    return out
+
+
 def _exact_rest(open_: DataFrame, texts: DataFrame, n: int, num: int, den: int) -> DataFrame:
     """Every two documents that share an open band and lie in different components, compared exactly.
 
-    A band's documents are dealt into blocks of about ``BLOCK``; a task gets two blocks and compares them within itself by
-    posting lists, so what travels are documents times blocks, never pairs. A task links two components once.
+    A band's documents are dealt into blocks of about ``BLOCK``; two blocks meet in one cell and are compared within it,
+    so what travels are documents times blocks, never pairs, and what is held is two blocks.
     """
     sizes = open_.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
-    block = F.pmod(F.xxhash64("doc_id", F.lit(3)), F.col("blocks")).cast("int")
-    dealt = open_.join(sizes, "key").withColumn("block", block)
+    dealt = open_.join(sizes, "key").withColumn("block", F.pmod(F.xxhash64("doc_id", F.lit(3)), F.col("blocks")).cast("int"))
     meet = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
     cells = dealt.select("key", "doc_id", "component", "block", meet).select(
         "key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "doc_id", "component", "block"
     )
-
-    def compare(t: pa.Table) -> pa.Table:
-        ids, comp = t.column("doc_id").to_pylist(), t.column("component").to_pylist()
-        sets = [shingle_set(words_of(x), n) for x in t.column("text").to_pylist()]
-        blocks = t.column("block").to_pylist()
-        order = sorted(range(len(ids)), key=lambda r: (len(sets[r]), ids[r]))
-        parent = {c: c for c in comp}
-
-        def root(c):
-            while parent[c] != c:
-                parent[c] = c = parent[parent[c]]
-            return c
-
-        out, posting = [], {}
-        for r in order:
-            shared: dict[int, int] = {}
-            for s in sets[r]:
-                for q in posting.setdefault(s, []):
-                    shared[q] = shared.get(q, 0) + 1
-                posting[s].append(r)
-            for q, both in shared.items():
-                if den * both >= num * (len(sets[r]) + len(sets[q]) - both) and root(comp[r]) != root(comp[q]):
-                    parent[root(comp[r])] = root(comp[q])
-                    out.append((ids[r], ids[q]))
-        del blocks
-        return pa.table([pa.array([a for a, _ in out], pa.int64()), pa.array([b for _, b in out], pa.int64())], names=["a", "b"])
-
-    return cells.join(texts, "doc_id").groupBy("key", "i", "j").applyInArrow(compare, "a long, b long")
+    sets = _hashed_sets(texts.join(open_.select("doc_id").distinct(), "doc_id", "left_semi"), n)
+    dealt_out = cells.join(sets, "doc_id").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
+
+    def compare(parts: list[pa.Table]) -> list[tuple[int, int]]:
+        t = pa.concat_tables(parts)
+        ids, comp, block = (t.column(c).to_numpy() for c in ("doc_id", "component", "block"))
+        if comp.min() == comp.max():
+            return []
+        return spanning_links(ids, comp, block, [np.frombuffer(x, np.uint64) for x in t.column("hashes").to_pylist()], num, den)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, cell = [], None
+        for batch in batches:
+            found: list[tuple[int, int]] = []
+            t = pa.Table.from_batches([batch])
+            where = np.stack([t.column(c).to_numpy().astype(np.int64) for c in ("key", "i", "j")], axis=1)
+            cuts = [0, *(np.flatnonzero((where[1:] != where[:-1]).any(axis=1)) + 1).tolist(), len(where)]
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                if a == b:
+                    continue
+                if held and tuple(where[a]) != cell:
+                    found += compare(held)
+                    held = []
+                held.append(t.slice(a, b - a))
+                cell = tuple(where[a])
+            yield _link_batch(found)
+        if held:
+            yield _link_batch(compare(held))
+
+    return dealt_out.mapInArrow(run, "a long, b long")
+
+
+def _link_batch(links: list[tuple[int, int]]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([x[i] for x in links], pa.int64()) for i in (0, 1)], names=["a", "b"])
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, similarity: tuple[int, int] = (4, 5)) -> DataFrame:
