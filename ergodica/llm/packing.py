@@ -3,11 +3,11 @@
 Each partition packs its own documents in one narrow pass: no shuffle, nothing gathered. Open bins are kept by their free
 space; one Python integer is the bitset of the free spaces that have an open bin, so the tightest bin that takes a piece
 is the lowest set bit at or above its length. At most ``open_bins`` bins are open; one more closes the fullest first.
-The pieces of one Arrow slice (some 8 MB of text) arrive together and are placed longest first.
+The pieces of one Arrow slice (some 4 MB of text) arrive together and are placed longest first.
 
 Tokens: no token crosses white space in the tokenizer named by the contract, so a white-space chunk's ids are looked up
-in a bounded cache and only unseen chunks are encoded (by the tokenizer itself). Texts with the separators
-0x1C to 0x1F, which only Python counts as white space, are encoded whole.
+in a bounded cache. Unseen chunks of Latin letters are split like the tokenizer does and merged many at a time (``bpe``); other
+chunks, and texts with the separators 0x1C to 0x1F, which only Python counts as white space, go to the tokenizer itself.
 
 Defined results. Null or empty text: the one end id. Only documents longer than a sequence are cut; the last piece may be
 shorter. Null doc_id and repeated rows: packed like any other row. Extra columns are ignored. Empty table: no rows.
@@ -16,6 +16,7 @@ shorter. Null doc_id and repeated rows: packed like any other row. Extra columns
 from __future__ import annotations
 
 import re
+import unicodedata
 import zlib
 from collections.abc import Iterator
 
@@ -24,12 +25,18 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
+from .bpe import Merges
 from .common import slim
 
 SEQUENCE = 2048
 OPEN_BINS = 4096
-CACHE = 400_000  # chunks a worker remembers
+CACHE = 500_000  # chunks a worker remembers
 _ODD = re.compile("[\x1c-\x1f]")
+_LATIN = [chr(c) for c in range(33, 0x250) if not chr(c).isspace()]
+_LETTERS = re.escape("".join(c for c in _LATIN if unicodedata.category(c)[0] == "L"))
+_NUMBERS = re.escape("".join(c for c in _LATIN if unicodedata.category(c)[0] == "N"))
+_RARE = re.compile("[^\x20-\u012f\u0131-\u024f]|<\\|")  # beyond what the fast path splits: left to the tokenizer
+_PIECES = re.compile(rf"\n|'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[{_NUMBERS}]|[^\s{_LETTERS}{_NUMBERS}]+")
 
 
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
@@ -44,24 +51,43 @@ class ChunkEncoder:
     def __init__(self, path: str, cache: int = CACHE):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.limit, self.known = Tokenizer.from_file(path), cache, {}
+        self.tokenizer, self.merges, self.limit, self.known = Tokenizer.from_file(path), Merges(path), cache, {}
 
-    def _encode(self, texts: list[str]) -> list[bytes]:
-        return [np.asarray(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    def _whole(self, text: str) -> bytes:
+        return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def _learn(self, chunks: list[str]) -> None:
+        rare = [c for c in chunks if _RARE.search(c)] if _RARE.search(" ".join(chunks)) else []
+        plain = list(set(chunks).difference(rare)) if rare else chunks
+        self.known.update((c, self._whole(c)) for c in rare)
+        if not plain:
+            return
+        pieces = _PIECES.findall("\n".join(plain).lower())
+        distinct = list(set(pieces) - {"\n"})
+        ids = dict(zip(distinct, self.merges.packed([p.encode() for p in distinct]), strict=True)) | {"\n": b"\xff" * 4}
+        raw = b"".join(map(ids.__getitem__, pieces))
+        cuts = (4 * np.flatnonzero(np.frombuffer(raw, "<u4") == 0xFFFFFFFF)).tolist()
+        self.known.update((c, raw[a:b]) for c, a, b in zip(plain, [0, *(x + 4 for x in cuts)], [*cuts, len(raw)], strict=True))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         odd = [bool(_ODD.search(t)) for t in texts]
         chunks = [[] if o else t.split() for t, o in zip(texts, odd, strict=True)]
-        known = self.known
-        unseen = list({c for cs in chunks for c in cs if c not in known})
-        if len(known) + len(unseen) > self.limit:
-            known.clear()
-            unseen = list({c for cs in chunks for c in cs})
-        for a in range(0, len(unseen), 10_000):
-            part = unseen[a : a + 10_000]
-            known.update(zip(part, self._encode(part), strict=True))
-        get = known.__getitem__
-        return [self._encode([t])[0] if o else b"".join(map(get, cs)) for t, o, cs in zip(texts, odd, chunks, strict=True)]
+        distinct = set().union(*chunks)
+        unseen = distinct.difference(self.known)
+        if len(self.known) + len(unseen) > self.limit:
+            self.known = {c: self.known[c] for c in distinct if c in self.known}  # what this batch uses stays
+        self._learn(list(unseen))
+        get = self.known.__getitem__
+        return [self._whole(t) if o else b"".join(map(get, cs)) for t, o, cs in zip(texts, odd, chunks, strict=True)]
+
+
+_ENCODERS: dict[str, ChunkEncoder] = {}  # of this worker process: what one task has learnt serves the next
+
+
+def encoder(path: str) -> ChunkEncoder:
+    if path not in _ENCODERS:
+        _ENCODERS[path] = ChunkEncoder(path)
+    return _ENCODERS[path]
 
 
 class BestFit:
@@ -104,14 +130,14 @@ def pack(docs: DataFrame, tokenizer: str, sequence: int = SEQUENCE, end_id: int
     end = np.asarray([end_id], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, bins = ChunkEncoder(tokenizer), BestFit(sequence, open_bins)
+        encode, bins = encoder(tokenizer).encode, BestFit(sequence, open_bins)
         base = (TaskContext.get().partitionId() if TaskContext.get() else 0) << 32
         for whole in batches:
-            step = max(1, whole.num_rows * (8 << 20) // max(1, whole.nbytes))
+            step = max(1, whole.num_rows * (4 << 20) // max(1, whole.nbytes))
             for a in range(0, whole.num_rows, step):
                 batch = whole.slice(a, step)
                 rows = []
-                for doc, ids in zip(batch.column(0).to_pylist(), encoder.encode([x or "" for x in batch.column(1).to_pylist()]), strict=True):
+                for doc, ids in zip(batch.column(0).to_pylist(), encode([x or "" for x in batch.column(1).to_pylist()]), strict=True):
                     ids += end
                     for piece, at in enumerate(range(0, len(ids), 4 * sequence)):
                         part = ids[at : at + 4 * sequence]
