@@ -20,7 +20,7 @@ from __future__ import annotations
 import hashlib
 import re
 from collections.abc import Iterator
-from itertools import chain
+from itertools import chain, count
 
 import numpy as np
 import pyarrow as pa
@@ -34,7 +34,7 @@ from .neardup import mix
 
 WINDOW = 13
 SHORT = 4  # words of so many bytes at most are minimisers only where nothing longer is
-BUCKETS_A_PARTITION = 4
+BUCKETS_A_PARTITION = 12
 _PIECE = re.compile(rb"([\x20\x09-\x0D]*)([^\x20\x09-\x0D]+)")
 
 
@@ -45,9 +45,8 @@ class Windows:
         """``docs``: the document of each run, ascending."""
         self.window, self.runs = window, runs
         lengths = np.fromiter(map(len, runs), np.int64, len(runs))
-        number: dict[bytes, int] = {}
-        total = int(lengths.sum())
-        self.ids = np.fromiter((number.setdefault(w, len(number)) for w in chain.from_iterable(runs)), np.int32, total)
+        number = dict(zip(dict.fromkeys(chain.from_iterable(runs)), count()))
+        self.ids = np.fromiter(map(number.__getitem__, chain.from_iterable(runs)), np.int32, int(lengths.sum()))
         self.hashes = np.fromiter(map(xxhash.xxh3_64_intdigest, number), np.uint64, len(number))
         self.sizes = np.fromiter(map(len, number), np.int64, len(number))
         first = np.cumsum(lengths) - lengths
