@@ -9,6 +9,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..operators.kernel import solve_arrays
 
@@ -27,13 +28,13 @@ def axpy(c: Column | float, a: Column, b: Column) -> Column:
     return F.zip_with(a, b, lambda x, y: k * x + y)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def combine(x: pd.Series, c: pd.Series) -> pd.Series:
     """A basis row (array) times small coefficients (array)."""
     return pd.Series([float(np.dot(a, b)) for a, b in zip(x, c, strict=True)])
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def stationary_of(src: pd.Series, dst: pd.Series, w: pd.Series) -> np.ndarray:
     """Grouped aggregate: the stationary vector of a small group's weights, by rising state."""
     s, d, x = src.to_numpy(np.int64), dst.to_numpy(np.int64), w.to_numpy(np.float64)

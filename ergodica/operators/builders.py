@@ -23,10 +23,15 @@ def succession(df: DataFrame, key: str | list[str], order: list, state: Column |
     return here.select("src", nxt.alias("dst")).where("src is not null and dst is not null").withColumn("w", F.lit(1.0))
 
 
+def micros(ts: str) -> Column:
+    """Microseconds of a timestamp with or without a zone."""
+    return F.unix_micros(F.col(ts).cast("timestamp"))
+
+
 def within(df: DataFrame, key: str, ts: str, state: str, seconds: int) -> DataFrame:
     """(src, dst, w) of each row and the *next* row of its key at most ``seconds`` later."""
     w = Window.partitionBy(key).orderBy(ts)
-    gap = F.unix_micros(F.lead(ts).over(w)) - F.unix_micros(ts)
+    gap = F.lead(micros(ts)).over(w) - micros(ts)
     return df.select(F.col(state).alias("src"), F.lead(state).over(w).alias("dst"), gap.alias("gap")).where(F.col("gap") <= seconds * 1_000_000).select("src", "dst", F.lit(1.0).alias("w"))
 
 
@@ -35,11 +40,11 @@ def interval_pairs(left: DataFrame, right: DataFrame, key: str, ts: str, seconds
 
     Columns: those of left, and of right with prefix ``r_``.
     """
-    micros, size = seconds * 1_000_000, max(1, seconds) * 1_000_000
-    l = left.withColumn("__t", F.unix_micros(ts)).withColumn("__bin", F.explode(F.sequence(F.floor(F.col("__t") / size), F.floor((F.col("__t") + micros) / size))))  # noqa: E741
-    r = right.select(*(F.col(c).alias(f"r_{c}") for c in right.columns)).withColumn("__rt", F.unix_micros(f"r_{ts}")).withColumn("__rbin", F.floor(F.col("__rt") / size))
+    reach, size = seconds * 1_000_000, max(1, seconds) * 1_000_000
+    l = left.withColumn("__t", micros(ts)).withColumn("__bin", F.explode(F.sequence(F.floor(F.col("__t") / size), F.floor((F.col("__t") + reach) / size))))  # noqa: E741
+    r = right.select(*(F.col(c).alias(f"r_{c}") for c in right.columns)).withColumn("__rt", micros(f"r_{ts}")).withColumn("__rbin", F.floor(F.col("__rt") / size))
     hit = l.join(r, (F.col(key) == F.col(f"r_{key}")) & (F.col("__bin") == F.col("__rbin")))
-    return hit.where((F.col("__rt") > F.col("__t")) & (F.col("__rt") <= F.col("__t") + micros)).drop("__t", "__bin", "__rt", "__rbin")
+    return hit.where((F.col("__rt") > F.col("__t")) & (F.col("__rt") <= F.col("__t") + reach)).drop("__t", "__bin", "__rt", "__rbin")
 
 
 def as_of(left: DataFrame, right: DataFrame, key: str, ts: str, value: str) -> DataFrame:

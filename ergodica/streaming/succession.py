@@ -40,7 +40,7 @@ def pairs_with_state(stream: DataFrame, key: str, ts: str, state: str, watermark
         group.setTimeoutTimestamp(max(int(last[1] // 1000) + 86_400_000, group.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame(out, columns=["key", "src", "dst", "ts"])
 
-    slim = stream.select(F.col(key).cast("string").alias("key"), F.col(ts).alias("ts"), F.col(state).cast("string").alias("state")).withWatermark("ts", watermark)
+    slim = stream.select(F.col(key).cast("string").alias("key"), F.col(ts).cast("timestamp").alias("ts"), F.col(state).cast("string").alias("state")).withWatermark("ts", watermark)
     return slim.groupBy("key").applyInPandasWithState(follow, PAIRS, "state string, at long", "append", "EventTimeTimeout")
 
 
@@ -68,7 +68,7 @@ class Follow(StatefulProcessor):
 
 def pairs_with_processor(stream: DataFrame, key: str, ts: str, state: str, watermark: str = "2 hours") -> DataFrame:
     """Needs the RocksDB state store provider to be set in the session."""
-    slim = stream.select(F.col(key).cast("string").alias("key"), F.col(ts).alias("ts"), F.col(state).cast("string").alias("state")).withWatermark("ts", watermark)
+    slim = stream.select(F.col(key).cast("string").alias("key"), F.col(ts).cast("timestamp").alias("ts"), F.col(state).cast("string").alias("state")).withWatermark("ts", watermark)
     return slim.groupBy("key").transformWithStateInPandas(Follow(), PAIRS, "Append", "EventTime")
 
 

@@ -25,7 +25,7 @@ def event_types(spark: SparkSession, d: str) -> Chain:
 
 
 def hour_weights(spark: SparkSession, d: str) -> DataFrame:
-    e = load(spark, d, "events").select("user_id", "ts", "event_id", F.expr("(unix_seconds(ts) - unix_seconds(timestamp'2024-01-01 00:00:00')) div 3600").alias("hour"))
+    e = load(spark, d, "events").select("user_id", "ts", "event_id", F.expr("timestampdiff(HOUR, timestamp_ntz'2024-01-01 00:00:00', cast(ts AS timestamp_ntz))").alias("hour"))
     return builders.succession(e, "user_id", ["ts", "event_id"], "hour")
 
 
