@@ -43,7 +43,7 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def in_batches(df: DataFrame, kernel: Callable[[pa.Table], Iterator[pa.RecordBatch] | Iterator[pa.Table]], schema: str, most: int = 8 << 20) -> DataFrame:
+def in_batches(df: DataFrame, kernel: Callable[[pa.Table], Iterator[pa.RecordBatch] | Iterator[pa.Table]], schema: str, most: int = 4 << 20) -> DataFrame:
     """``mapInArrow`` whose kernel sees tables of some ``most`` bytes: bounded memory, however large the partition is."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

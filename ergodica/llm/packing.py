@@ -30,7 +30,7 @@ from .common import slim
 
 SEQUENCE = 2048
 OPEN_BINS = 4096
-CACHE = 500_000  # chunks a worker remembers
+CACHE = 300_000  # chunks a worker remembers
 _ODD = re.compile("[\x1c-\x1f]")
 _LATIN = [chr(c) for c in range(33, 0x250) if not chr(c).isspace()]
 _LETTERS = re.escape("".join(c for c in _LATIN if unicodedata.category(c)[0] == "L"))
@@ -81,7 +81,7 @@ class ChunkEncoder:
         return [self._whole(t) if o else b"".join(map(get, cs)) for t, o, cs in zip(texts, odd, chunks, strict=True)]
 
 
-_ENCODERS: dict[str, ChunkEncoder] = {}  # of this worker process: what one task has learnt serves the next
+_ENCODERS: dict[str, ChunkEncoder] = {}  # of this worker process: the tables are built once
 
 
 def encoder(path: str) -> ChunkEncoder:
@@ -131,6 +131,12 @@ def pack(docs: DataFrame, tokenizer: str, sequence: int = SEQUENCE, end_id: int
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode, bins = encoder(tokenizer).encode, BestFit(sequence, open_bins)
+        try:
+            yield from packed(batches, encode, bins)
+        finally:
+            encoder(tokenizer).known = {}  # the worker lives on for other tasks
+
+    def packed(batches: Iterator[pa.RecordBatch], encode, bins: BestFit) -> Iterator[pa.RecordBatch]:
         base = (TaskContext.get().partitionId() if TaskContext.get() else 0) << 32
         for whole in batches:
             step = max(1, whole.num_rows * (4 << 20) // max(1, whole.nbytes))

@@ -20,11 +20,10 @@ from __future__ import annotations
 import hashlib
 import re
 from collections.abc import Iterator
-from itertools import chain, count
+from operator import eq
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -38,58 +37,87 @@ BUCKETS_A_PARTITION = 12
 _PIECE = re.compile(rb"([\x20\x09-\x0D]*)([^\x20\x09-\x0D]+)")
 
 
+_BY_PLACE = mix(np.arange(1, 4097, dtype=np.uint64))  # multipliers of a word's bytes by their place
+_BY_BYTE = mix(np.arange(257, 513, dtype=np.uint64)) | np.uint64(1)
+CHUNK = 1 << 20  # bytes hashed at once
+
+
 class Windows:
-    """The windows of several runs of words, sorted so that equal ones stand together, the least document first."""
-
-    def __init__(self, runs: list[list[bytes]], docs: np.ndarray, window: int):
-        """``docs``: the document of each run, ascending."""
-        self.window, self.runs = window, runs
-        lengths = np.fromiter(map(len, runs), np.int64, len(runs))
-        number = dict(zip(dict.fromkeys(chain.from_iterable(runs)), count()))
-        self.ids = np.fromiter(map(number.__getitem__, chain.from_iterable(runs)), np.int32, int(lengths.sum()))
-        self.hashes = np.fromiter(map(xxhash.xxh3_64_intdigest, number), np.uint64, len(number))
-        self.sizes = np.fromiter(map(len, number), np.int64, len(number))
-        first = np.cumsum(lengths) - lengths
-        counts = np.maximum(lengths - window + 1, 0)
-        self.run = np.repeat(np.arange(len(runs)), counts)
+    """The windows of several runs of words, sorted so that equal ones stand together, the least document first.
+
+    ``text``: the runs, a line each, words separated by one space; ``docs``: the document of each run, ascending.
+    """
+
+    def __init__(self, text: bytes, docs: np.ndarray, window: int):
+        self.window, self.text = window, text
+        raw = np.frombuffer(text, np.uint8)
+        line = raw == 10
+        breaks = np.flatnonzero(line | (raw == 32)).astype(np.int32)
+        self.start, self.end = np.append(np.int32(0), breaks + np.int32(1)), np.append(breaks, np.int32(len(raw)))
+        run = np.append(0, np.cumsum(line[breaks])) if len(docs) else np.zeros(0, np.int64)
+        self.start, self.end = self.start[: len(run)], self.end[: len(run)]
+        counts = np.maximum(np.bincount(run, minlength=len(docs)) - window + 1, 0)
+        first = np.searchsorted(run, np.arange(len(docs)))
+        self.run = np.repeat(np.arange(len(docs)), counts)
         self.offset = np.arange(len(self.run)) - np.repeat(np.cumsum(counts) - counts, counts)
         self.at = first[self.run] + self.offset
         self.doc = docs[self.run]
+        self.hashes = self._hashes(raw)
+
+    def _hashes(self, raw: np.ndarray) -> np.ndarray:
+        """A 64-bit hash of each word's bytes, whatever stands around it."""
+        size, out = self.end - self.start, np.zeros(len(self.start), np.uint64)
+        a = 0
+        while a < len(out):
+            b = max(a + 1, int(np.searchsorted(self.end, self.start[a] + CHUNK)))
+            base, part = self.start[a], size[a:b]
+            place = np.arange(base, self.end[b - 1] + 1, dtype=np.int32) - np.repeat(self.start[a:b], part + 1)
+            terms = np.empty(len(place), np.uint64)
+            terms[:-1] = _BY_BYTE[raw[base : self.end[b - 1]]]
+            terms *= _BY_PLACE[place & 4095]
+            if part.max() > 4096:
+                terms *= np.where(place >= 4096, place.astype(np.uint64) | np.uint64(1), np.uint64(1))
+            terms[self.end[a:b] - base] = 0  # what separates words
+            out[a:b] = np.add.reduceat(terms, self.start[a:b] - base)
+            a = b
+        return mix(out + size.astype(np.uint64))
 
     def repeats(self) -> np.ndarray:
         """For each window: does it also start in a smaller document?"""
         n = len(self.at)
         if not n:
             return np.zeros(0, bool)
-        word, h = self.hashes[self.ids], np.zeros(n, np.uint64)
+        h = np.zeros(n, np.uint64)
         for j in range(self.window):
-            h = h * np.uint64(0x9E3779B97F4A7C15) + word[self.at + j]
+            h *= np.uint64(0x9E3779B97F4A7C15)
+            h += self.hashes[self.at + j]
         h = mix(h)
         order = np.argsort(h, kind="stable")
         same = h[order][1:] == h[order][:-1]
-        if same.any() and not self._equal(order[1:][same], order[:-1][same]).all():  # two windows under one hash: sort by the words
-            rows = np.stack([self.ids[self.at + j] for j in range(self.window)], axis=1)
-            _, group = np.unique(rows, axis=0, return_inverse=True)
-            order = np.argsort(group.reshape(-1), kind="stable")
-            same = group.reshape(-1)[order][1:] == group.reshape(-1)[order][:-1]
+        if not self._equal(order[1:][same], order[:-1][same]):  # two windows under one hash: sort by the words
+            number: dict[bytes, int] = {}
+            group = np.fromiter((number.setdefault(x, len(number)) for x in self._bytes(np.arange(n))), np.int64, n)
+            order = np.argsort(group, kind="stable")
+            same = group[order][1:] == group[order][:-1]
         start = np.flatnonzero(np.concatenate([[True], ~same]))
         least = np.repeat(self.doc[order][start], np.diff(np.append(start, n)))
         out = np.empty(n, bool)
         out[order] = self.doc[order] > least
         return out
 
-    def _equal(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        ok = np.ones(len(a), bool)
-        for j in range(self.window):
-            ok &= self.ids[self.at[a] + j] == self.ids[self.at[b] + j]
-        return ok
+    def _bytes(self, windows: np.ndarray) -> Iterator[bytes]:
+        at = self.at[windows]
+        return (self.text[a:b] for a, b in zip(self.start[at].tolist(), self.end[at + self.window - 1].tolist(), strict=True))
+
+    def _equal(self, a: np.ndarray, b: np.ndarray) -> bool:
+        return all(map(eq, self._bytes(a), self._bytes(b)))
 
     def minimisers(self) -> np.ndarray:
-        rank = (mix(self.hashes) >> np.uint64(1)) | np.where(self.sizes <= SHORT, np.uint64(1 << 63), np.uint64(0))
-        each = rank[self.ids]
-        least = each[self.at] if len(self.at) else np.zeros(0, np.uint64)
+        short = self.end - self.start <= SHORT
+        rank = (mix(self.hashes) >> np.uint64(1)) | np.where(short, np.uint64(1 << 63), np.uint64(0))
+        least = rank[self.at]
         for j in range(1, self.window):
-            least = np.minimum(least, each[self.at + j])
+            np.minimum(least, rank[self.at + j], out=least)
         return least
 
 
@@ -115,13 +143,12 @@ def _sender(window: int, buckets: int):
         squeeze = zstandard.ZstdCompressor(level=1)
         t = t.sort_by("doc_id")
         docs, keys = (np.asarray(t.column(c).to_numpy(), np.int64) for c in ("doc_id", "key"))
-        words = [x.encode().split() for x in t.column("text").to_pylist()]
-        w = Windows(words, docs, window)
+        w = Windows(b"\n".join(b" ".join(x.encode().split()) for x in t.column("text").to_pylist()), docs, window)
         known = w.repeats()
         ids, ks, data = _flag_rows(w.run[known], w.offset[known], docs, keys)
         where = [int(x) % buckets for x in ids]
         go = ~known
-        run, offset, least = w.run[go], w.offset[go], w.minimisers()[go]
+        run, offset, at, least = w.run[go], w.offset[go], w.at[go], w.minimisers()[go]
         if len(run):
             head = np.ones(len(run), bool)
             head[1:] = (run[1:] != run[:-1]) | (offset[1:] != offset[:-1] + 1) | (least[1:] != least[:-1])
@@ -134,7 +161,7 @@ def _sender(window: int, buckets: int):
                 own = first[order[a:b]]
                 size = many[order[a:b]] + window - 1
                 head_ = np.stack([docs[run[own]], keys[run[own]], offset[own], size], axis=1).astype("<i8")
-                text = b" ".join(b" ".join(words[r][o : o + s]) for r, o, s in zip(run[own].tolist(), offset[own].tolist(), size.tolist(), strict=True))
+                text = b"\n".join(w.text[x:y] for x, y in zip(w.start[at[own]].tolist(), w.end[at[own] + size - 1].tolist(), strict=True))
                 ids.append(None)
                 ks.append(len(head_))
                 data.append(squeeze.compress(head_.tobytes() + text))
@@ -150,19 +177,17 @@ def _resolver(window: int):
         given, counts, data = t.column("doc_id").to_pylist(), t.column("key").to_pylist(), t.column("data").to_pylist()
         decided = [i for i, d in enumerate(given) if d is not None]
         out = [given[i] for i in decided], [counts[i] for i in decided], [data[i] for i in decided]
-        heads, words = [], []
+        heads, lines = [], []
         for d, n, blob in zip(given, counts, data, strict=True):
             if d is None:
                 raw = zstandard.ZstdDecompressor().decompress(blob)
                 heads.append(np.frombuffer(raw, "<i8", 4 * n).reshape(n, 4))
-                words.append(raw[32 * n :].split())
+                lines += raw[32 * n :].split(b"\n")
         if heads:
             head = np.concatenate(heads)
-            ends = np.cumsum(head[:, 3])
-            flat = list(chain.from_iterable(words))
             order = np.argsort(head[:, 0], kind="stable")
-            head, ends = head[order], ends[order]
-            w = Windows([flat[e - s : e] for s, e in zip(head[:, 3].tolist(), ends.tolist(), strict=True)], head[:, 0], window)
+            head = head[order]
+            w = Windows(b"\n".join(map(lines.__getitem__, order.tolist())), head[:, 0], window)
             known = w.repeats()
             run = w.run[known]
             for mine, more in zip(out, _flag_rows(run, head[run, 2] + w.offset[known], head[:, 0], head[:, 1]), strict=True):
@@ -173,7 +198,12 @@ def _resolver(window: int):
 
 
 def repeated_windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
-    """doc_id, key (hash of the text), spans: for each document with repeated windows, packed int32 pairs (first window, how many)."""
+    """doc_id, key (hash of the text), spans: for each document with repeated windows, packed int32 pairs (first window, how many).
+
+    ``window`` is two words or more.
+    """
+    if window < 2:
+        raise ValueError("a window has two words or more")
     spark = docs.sparkSession
     buckets = BUCKETS_A_PARTITION * int(spark.conf.get("spark.sql.shuffle.partitions"))
     keyed = slim(docs, "doc_id", "text").where("doc_id is not null and text is not null").select("doc_id", F.xxhash64("text").alias("key"), "text")
