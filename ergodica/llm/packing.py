@@ -32,10 +32,10 @@ SEQUENCE = 2048
 OPEN_BINS = 4096
 CACHE = 300_000  # chunks a worker remembers
 _ODD = re.compile("[\x1c-\x1f]")
-_LATIN = [chr(c) for c in range(33, 0x250) if not chr(c).isspace()]
+_LATIN = [chr(c) for c in range(33, 0x180) if not chr(c).isspace()]
 _LETTERS = re.escape("".join(c for c in _LATIN if unicodedata.category(c)[0] == "L"))
 _NUMBERS = re.escape("".join(c for c in _LATIN if unicodedata.category(c)[0] == "N"))
-_RARE = re.compile("[^\x20-\u012f\u0131-\u024f]|<\\|")  # beyond what the fast path splits: left to the tokenizer
+_RARE = re.compile("[^\x20-\u012f\u0131-\u017f]|<\\|")  # beyond what the fast path splits: left to the tokenizer
 _PIECES = re.compile(rf"\n|'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[{_NUMBERS}]|[^\s{_LETTERS}{_NUMBERS}]+")
 
 

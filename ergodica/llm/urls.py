@@ -71,7 +71,8 @@ def _level(counts: DataFrame, key: str, parent: str, prior: DataFrame) -> DataFr
     Method of moments over the level's groups: the excess of the groups' variance around their priors over the binomial
     one gives the prior's strength.
     """
-    at = counts.join(prior.select(parent, F.col("mean").alias("m")), parent)
+    top = prior.select(F.col("mean").alias("m")) if parent == "all" else None  # one row
+    at = counts.join(F.broadcast(top)) if top is not None else counts.join(prior.select(parent, F.col("mean").alias("m")), parent)
     spread = F.sum((F.col("bad") - F.col("n") * F.col("m")) * (F.col("bad") - F.col("n") * F.col("m")) / F.col("n"))
     noise, room = F.sum(F.col("m") * (1 - F.col("m"))), F.sum((F.col("n") - 1) * F.col("m") * (1 - F.col("m")))
     fitted = at.agg(spread.alias("spread"), noise.alias("noise"), room.alias("room"))
@@ -103,9 +104,11 @@ def judge(pages: DataFrame, outcomes: DataFrame, rules: Iterable[tuple[str, str,
     known = reputation(pages, outcomes)
     place = with_rule(located(pages), rules)
     domain, suffix = levels(F.col("host"))
-    place = place.withColumns({"domain": domain, "suffix": suffix, "all": F.lit(0)})
-    for key in ("host", "domain", "suffix", "all"):
+    place = place.withColumns({"domain": domain, "suffix": suffix})
+    for key in ("host", "domain", "suffix"):
         place = place.join(known[key].select(key, F.col("mean").alias(f"m_{key}"), F.col("variance").alias(f"v_{key}")), key, "left")
+    top = known["all"].agg(F.max("mean").alias("m_all"), F.max("variance").alias("v_all"))  # one row, of nulls without labels
+    place = place.join(F.broadcast(top))
     mean, variance = (F.coalesce(*(F.col(f"{x}_{k}") for k in ("host", "domain", "suffix", "all"))) for x in "mv")
     bound = F.round(mean - z * F.sqrt(variance), 6)
     return place.select(
