@@ -32,7 +32,7 @@ _PLACE = 24  # low bits of a window's key: its position
 
 
 def words(text: Column) -> Column:
-    return F.filter(F.split(text, f"[{SPACE_CLASS}]+"), lambda w: w != "")
+    return F.array_remove(F.split(text, f"[{SPACE_CLASS}]+"), "")
 
 
 def _left(text: Column, gone: str) -> Column:
@@ -62,7 +62,10 @@ def base_counts(docs: DataFrame, keep: list[str], common: list[str] | None = Non
     dup = (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines")
     keyed = F.transform(span, lambda i: F.shiftleft(F.xxhash64(h(i), h(i + 1), h(i + 2)), _PLACE).bitwiseOR(i.cast("long")))
     c = b.select(*carried, dup, "w", F.sort_array(keyed).alias("keys"))
-    alike = _neighbours("keys", lambda x, y: F.shiftright(x, _PLACE) == F.shiftright(y, _PLACE))
+    next_too = F.zip_with("keys", F.slice("keys", F.lit(2), F.size("keys")), lambda x, y: F.shiftright(x, _PLACE) == F.shiftright(y, _PLACE))
+    c = c.select("*", next_too.alias("next_too"))
+    beside = F.filter("keys", lambda x, k: F.coalesce(F.get("next_too", k), F.lit(False)) | F.coalesce(F.get("next_too", k - 1), F.lit(False)))
+    alike = F.when(F.array_contains("next_too", True), beside).otherwise(F.array().cast("array<bigint>"))
     place = F.transform(alike, lambda x: x.bitwiseAND(F.lit((1 << _PLACE) - 1)).cast("int"))
     some = F.when(F.col("n_words") < 1 << _PLACE, place).otherwise(F.sequence(F.lit(0), F.greatest((F.col("n_words") - 3).cast("int"), F.lit(0))))
     word = lambda i: F.get(F.col("w"), i)
@@ -82,7 +85,7 @@ def common_words(docs: DataFrame, common: int = COMMON) -> list[tuple[str, str,
 
     What reaches the driver: ``common`` rows for each language.
     """
-    each = slim(docs, "text", "lang").where("lang is not null and text is not null").select("lang", F.explode(words(F.col("text"))).alias("word"))
+    each = slim(docs, "text", "lang").where("lang is not null and text is not null").select("lang", F.explode(F.split("text", f"[{SPACE_CLASS}]+")).alias("word")).where("word <> ''")
     counts = each.select("lang", F.lower("word").alias("word")).groupBy("lang", "word").agg(F.count("*").alias("n"))
     rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "word"))
     total = counts.groupBy("lang").agg(F.sum("n").alias("total"))
