@@ -19,6 +19,7 @@ import re
 import unicodedata
 import zlib
 from collections.abc import Iterator
+from itertools import accumulate, chain
 
 import numpy as np
 import pyarrow as pa
@@ -30,7 +31,7 @@ from .common import slim
 
 SEQUENCE = 2048
 OPEN_BINS = 4096
-CACHE = 300_000  # chunks a worker remembers
+CACHE = 600_000  # chunks a worker remembers
 _ODD = re.compile("[\x1c-\x1f]")
 _LATIN = [chr(c) for c in range(33, 0x180) if not chr(c).isspace()]
 _LETTERS = re.escape("".join(c for c in _LATIN if unicodedata.category(c)[0] == "L"))
@@ -72,13 +73,17 @@ class ChunkEncoder:
     def encode(self, texts: list[str]) -> list[bytes]:
         odd = [bool(_ODD.search(t)) for t in texts]
         chunks = [[] if o else t.split() for t, o in zip(texts, odd, strict=True)]
-        distinct = set().union(*chunks)
-        unseen = distinct.difference(self.known)
+        flat = list(chain.from_iterable(chunks))
+        ids = list(map(self.known.get, flat))
+        missing = [i for i, v in enumerate(ids) if v is None]
+        unseen = list({flat[i] for i in missing})
         if len(self.known) + len(unseen) > self.limit:
-            self.known = {c: self.known[c] for c in distinct if c in self.known}  # what this batch uses stays
-        self._learn(list(unseen))
-        get = self.known.__getitem__
-        return [self._whole(t) if o else b"".join(map(get, cs)) for t, o, cs in zip(texts, odd, chunks, strict=True)]
+            self.known = {c: v for c, v in zip(flat, ids, strict=True) if v is not None}  # what this batch uses stays
+        self._learn(unseen)
+        for i in missing:
+            ids[i] = self.known[flat[i]]
+        ends = list(accumulate(map(len, chunks)))
+        return [self._whole(t) if o else b"".join(ids[a:b]) for t, o, a, b in zip(texts, odd, [0, *ends], ends, strict=False)]
 
 
 _ENCODERS: dict[str, ChunkEncoder] = {}  # of this worker process: the tables are built once
