@@ -33,7 +33,7 @@ from .neardup import mix
 
 WINDOW = 13
 SHORT = 4  # words of so many bytes at most are minimisers only where nothing longer is
-BUCKETS_A_PARTITION = 12
+BUCKETS_A_PARTITION = 6
 _PIECE = re.compile(rb"([\x20\x09-\x0D]*)([^\x20\x09-\x0D]+)")
 
 
@@ -140,7 +140,7 @@ def _flag_rows(run: np.ndarray, start: np.ndarray, doc: np.ndarray, key: np.ndar
 
 def _sender(window: int, buckets: int):
     def kernel(t: pa.Table) -> Iterator[pa.Table]:
-        squeeze = zstandard.ZstdCompressor(level=1)
+        squeeze = zstandard.ZstdCompressor(level=3)
         t = t.sort_by("doc_id")
         docs, keys = (np.asarray(t.column(c).to_numpy(), np.int64) for c in ("doc_id", "key"))
         w = Windows(b"\n".join(b" ".join(x.encode().split()) for x in t.column("text").to_pylist()), docs, window)
@@ -198,7 +198,7 @@ def _resolver(window: int):
 
 
 def repeated_windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
-    """doc_id, key (hash of the text), spans: for each document with repeated windows, packed int32 pairs (first window, how many).
+    """doc_id, key (32-bit hash of the text, which tells rows that repeat a doc_id apart), spans: for each document with repeated windows, packed int32 pairs (first window, how many).
 
     ``window`` is two words or more.
     """
@@ -206,7 +206,7 @@ def repeated_windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
         raise ValueError("a window has two words or more")
     spark = docs.sparkSession
     buckets = BUCKETS_A_PARTITION * int(spark.conf.get("spark.sql.shuffle.partitions"))
-    keyed = slim(docs, "doc_id", "text").where("doc_id is not null and text is not null").select("doc_id", F.xxhash64("text").alias("key"), "text")
+    keyed = slim(docs, "doc_id", "text").where("doc_id is not null and text is not null").select("doc_id", F.hash("text").cast("long").alias("key"), "text")
     sent = in_batches(keyed, _sender(window, buckets), "bucket int, doc_id long, key long, data binary")
     flags = sent.groupBy("bucket").applyInArrow(_resolver(window), "doc_id long, key long, data binary")
     return flags.groupBy("doc_id", "key").agg(F.collect_list("data").alias("spans"))
@@ -222,7 +222,7 @@ def _covered(n: int, spans: list[bytes] | None, window: int) -> np.ndarray:
 
 def _with_spans(docs: DataFrame, window: int) -> DataFrame:
     spans = repeated_windows(docs, window).select(F.col("doc_id").alias("__d"), F.col("key").alias("__k"), F.col("spans").alias("__spans"))
-    return docs.join(spans, (F.col("doc_id") == F.col("__d")) & (F.xxhash64("text") == F.col("__k")), "left").drop("__d", "__k")
+    return docs.join(spans, (F.col("doc_id") == F.col("__d")) & (F.hash("text") == F.col("__k")), "left").drop("__d", "__k")
 
 
 def substring_duplicates(docs: DataFrame, window: int = WINDOW) -> DataFrame:
