@@ -5,7 +5,8 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
+
+from .results import prefix_sums
 
 
 def compare(pi: DataFrame, truth: DataFrame, top: int = 10) -> DataFrame:
@@ -19,11 +20,11 @@ def compare(pi: DataFrame, truth: DataFrame, top: int = 10) -> DataFrame:
 
 
 def rank_correlation(both: DataFrame) -> DataFrame:
-    """Spearman's correlation of a and b: ranks by values counted once each, so no row-by-row global window."""
+    """Spearman's correlation of a and b, with mean ranks for ties: values are counted once each and ranked by range partitions."""
+
     def ranked(c: str) -> DataFrame:
-        counts = both.groupBy(c).agg(F.count("*").alias("n"))
-        w = Window.orderBy(F.desc(c)).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-        return counts.select(c, (F.sum("n").over(w) - (F.col("n") - 1) / 2).alias(f"r_{c}"))
+        counts = both.groupBy(c).agg(F.count("*").cast("double").alias("n"))
+        return prefix_sums(counts, "n", F.desc(c)).select(c, (F.col("running") - (F.col("n") - 1) / 2).alias(f"r_{c}"))
 
     return both.join(ranked("a"), "a").join(ranked("b"), "b").agg(F.corr("r_a", "r_b").alias("spearman"))
 

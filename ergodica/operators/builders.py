@@ -7,6 +7,9 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 
+KNN_BLOCK = 4096  # vectors of one side of a cell
+
+
 def succession(df: DataFrame, key: str | list[str], order: list, state: Column | str, cyclic: bool = True) -> DataFrame:
     """(src, dst, w = 1) of each row and the next of its key; ``cyclic`` closes a key's last row to its first.
 
@@ -23,6 +26,21 @@ def succession(df: DataFrame, key: str | list[str], order: list, state: Column |
     return here.select("src", nxt.alias("dst")).where("src is not null and dst is not null").withColumn("w", F.lit(1.0))
 
 
+def succession_sliced(df: DataFrame, key: str, ts: str, order: list[str], state: str, seconds: int, cyclic: bool = True) -> DataFrame:
+    """``succession`` for keys too large for one task: a key's rows are dealt by time slices of ``seconds``, ordered within each,
+    and stitched at the slices' ends by a table of one row for each key and slice."""
+    at = df.select(key, *[c for c in order if c != key], F.col(state).alias("src"), F.floor(micros(ts) / (seconds * 1_000_000)).alias("slice"))
+    ends = at.groupBy(key, "slice").agg(F.min_by("src", F.struct(*order)).alias("first"))
+    w = Window.partitionBy(key).orderBy("slice")
+    after = F.lead("first").over(w)
+    if cyclic:
+        after = F.coalesce(after, F.first("first").over(w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)))
+    stitched = ends.select(key, "slice", after.alias("after"))
+    inner = F.lead("src").over(Window.partitionBy(key, "slice").orderBy(*order))
+    moved = at.select(key, "slice", "src", inner.alias("dst"))
+    return moved.join(stitched, [key, "slice"]).select("src", F.coalesce("dst", "after").alias("dst")).where("src is not null and dst is not null").withColumn("w", F.lit(1.0))
+
+
 def micros(ts: str) -> Column:
     """Microseconds of a timestamp with or without a zone."""
     return F.unix_micros(F.col(ts).cast("timestamp"))
@@ -82,8 +100,8 @@ def knn(emb: DataFrame, k: int, id_col: str = "vec_id", vec: str = "embedding",
     import numpy as np
     import pyarrow as pa
 
-    n = blocks or max(1, int(emb.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 4)
     base = emb.select(F.col(id_col).cast("long").alias("id"), F.col(vec).cast("array<double>").alias("v")).where("id is not null and v is not null")
+    n = blocks or max(1, -(-base.count() // KNN_BLOCK))
     placed = base.withColumn("b", F.pmod(F.xxhash64("id"), F.lit(n)).cast("int"))
     every = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
     left = placed.select("id", "v", F.col("b").alias("i"), every.alias("j")).withColumn("side", F.lit(0))

@@ -2,7 +2,12 @@
 
 from __future__ import annotations
 
-from dataclasses import asdict, dataclass
+from dataclasses import asdict, dataclass, replace
+
+from pyspark.sql import Observation
+from pyspark.sql import functions as F
+
+from .chain import Chain
 
 
 @dataclass
@@ -43,3 +48,9 @@ def decomposition(n: int, width: int, depth: int = 1) -> int:
     """Operations of one extraction, up to a constant."""
     m = width * depth
     return n * m * m + m**3
+
+
+def observed(chain: Chain) -> tuple[Chain, Observation]:
+    """The chain whose edge scan counts its rows, to check the ledger's passes: rows seen = passes times edges."""
+    seen = Observation()
+    return replace(chain, edges=chain.edges.observe(seen, F.count(F.lit(1)).alias("edges"))), seen

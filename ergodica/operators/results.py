@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..sources.work import written
+
 
 def top_states(pi: DataFrame, k: int) -> DataFrame:
     return pi.orderBy(F.desc("pi"), "state").limit(k)
@@ -16,19 +18,21 @@ def top_per_group(pi: DataFrame, group: str, k: int) -> DataFrame:
     return pi.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def running_mass(pi: DataFrame) -> DataFrame:
-    """state, pi, running: mass down to each state by falling pi, without a single-partition window.
+def prefix_sums(df: DataFrame, value: str, *order) -> DataFrame:
+    """df with ``running``: the sum of ``value`` down to each row in ``order``, without a single-partition window.
 
-    Rows are range-partitioned and sorted; each partition sums its own, and the sums of the partitions before it (one number each) are added.
+    Rows are range-partitioned and written; each partition sums its own, and the sums of the partitions before it (one number each) are added.
     """
-    placed = pi.select("state", "pi").repartitionByRange(F.desc("pi"), "state").withColumn("part", F.spark_partition_id())
-    from ..sources.work import written
-
-    placed = written(placed, "mass")
-    sums = placed.groupBy("part").agg(F.sum("pi").alias("s"))
-    before = sums.select("part", (F.sum("s").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1))).alias("base"))  # a row for each partition
-    w = Window.partitionBy("part").orderBy(F.desc("pi"), "state").rowsBetween(Window.unboundedPreceding, 0)
-    return placed.join(F.broadcast(before), "part").select("state", "pi", (F.sum("pi").over(w) + F.coalesce("base", F.lit(0.0))).alias("running"))
+    placed = written(df.repartitionByRange(*order).withColumn("__part", F.spark_partition_id()), "prefix")
+    sums = placed.groupBy("__part").agg(F.sum(value).alias("__s"))
+    before = sums.select("__part", F.sum("__s").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)).alias("__base"))  # a row for each partition
+    w = Window.partitionBy("__part").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0)
+    return placed.join(F.broadcast(before), "__part").withColumn("running", F.sum(value).over(w) + F.coalesce("__base", F.lit(0.0))).drop("__part", "__base")
+
+
+def running_mass(pi: DataFrame) -> DataFrame:
+    """state, pi, running: mass down to each state by falling pi."""
+    return prefix_sums(pi.select("state", "pi"), "pi", F.desc("pi"), F.col("state"))
 
 
 def last_checks(log: DataFrame) -> DataFrame:

@@ -113,6 +113,8 @@ def oracle_sql() -> dict[str, str]:
             j AS (SELECT coalesce(a, 0) AS a, coalesce(b, 0) AS b FROM a FULL JOIN b USING (k)), d AS (SELECT sum(a * a) AS aa, sum(b * b) AS bb, sum(a * b) AS ab FROM j)
             SELECT round(sqrt(sum((a / sqrt(aa) - b / sqrt(bb) * (ab / sqrt(aa * bb))) ** 2)), 9) AS distance FROM j, d""",
         "chain_edges_event": f"WITH {EVENT_EDGES} SELECT src, dst, round(prob, 6) AS prob FROM e",
+        "sliced_succession": f"WITH {EVENT_EDGES} SELECT src, dst, w FROM c",
+        "observed_pass": f"WITH {_regional('0.1')} SELECT count(*) AS n_edges FROM e",
         "chain_edges_regional": f"WITH {_regional('0.1')} SELECT src, dst, round(prob, 6) AS prob FROM e",
         "encoded_states": "SELECT row_number() OVER (ORDER BY event_type) - 1 AS state, event_type AS label FROM (SELECT DISTINCT event_type FROM events)",
         "row_sums": f"WITH {_regional('0.01')} SELECT src, round(sum(prob), 6) AS total, count(*) AS exits FROM e GROUP BY 1",

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from . import workloads as W
 from .functions import udfs
-from .operators import accuracy, block, builders, convergence, diagnostics, kernel, results, solve, spectrum, step
+from .operators import accuracy, block, builders, convergence, cost, diagnostics, kernel, results, solve, spectrum, step
 from .operators import chain as C
 from .plans import planner
 from .sources import synthetic
@@ -317,6 +317,19 @@ def chain_edges_event(s, d):
     return e.select(F.col("a").alias("src"), F.col("b").alias("dst"), F.round("prob", 6).alias("prob"))
 
 
+def sliced_succession(s, d):
+    """Event types, keys dealt by weeks and stitched."""
+    w = builders.succession_sliced(load(s, d, "events"), "user_id", "ts", ["ts", "event_id"], "event_type", 7 * 86_400)
+    return w.groupBy("src", "dst").agg(F.sum("w").cast("long").alias("w"))
+
+
+def observed_pass(s, d):
+    """Edges that one pass scans, as the plan itself counted them."""
+    c, seen = cost.observed(W.regional(s, d, 0.1))
+    step.propagate(c, block.start(c.nodes(), 2, 1)).write.format("noop").mode("overwrite").save()
+    return s.createDataFrame([(int(seen.get["edges"]),)], "n_edges long")
+
+
 def chain_edges_regional(s, d):
     return W.regional(s, d, 0.1).edges.select("src", "dst", F.round("prob", 6).alias("prob"))
 

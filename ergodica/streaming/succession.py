@@ -45,10 +45,10 @@ def pairs_with_state(stream: DataFrame, key: str, ts: str, state: str, watermark
 
 
 class Follow(StatefulProcessor):
-    """The same with ``transformWithStateInPandas``: value state, time to live."""
+    """The same with ``transformWithStateInPandas`` and a value state."""
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.last = handle.getValueState("last", "state string, at long", ttlDurationMs=7 * 86_400_000)
+        self.last = handle.getValueState("last", "state string, at long")
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timers) -> Iterator[pd.DataFrame]:
         last = self.last.get() if self.last.exists() else (None, None)

@@ -243,6 +243,31 @@ def test_refresher_and_windows(spark, sf, tmp_path):
     assert days.isStreaming and S.session_chain(stream.withColumn("ts", F.col("ts").cast("timestamp")), "user_id", "ts").isStreaming
 
 
+def test_stream_joins_sessions_and_processor(spark, sf, tmp_path):
+    from ergodica.streaming import succession as S
+
+    e = T.load(spark, sf, "events")
+    stream = S.read_events(spark, f"{sf}/events*.parquet", e.schema).withColumn("ts", F.col("ts").cast("timestamp"))
+
+    def run(df, name, mode="append"):
+        df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", str(tmp_path / name)).trigger(availableNow=True).start().awaitTermination()
+        return spark.table(name)
+
+    kinds = sorted(r[0] for r in e.select("event_type").distinct().collect())[:2]
+    pick = lambda k: S.read_events(spark, f"{sf}/events*.parquet", e.schema).withColumn("ts", F.col("ts").cast("timestamp")).where(F.col("event_type") == k)
+    got = run(S.followed_by(pick(kinds[0]), pick(kinds[1]), "user_id", "ts", "24 hours", "3650 days"), "t_follow").count()
+    assert got == builders.interval_pairs(e.where(F.col("event_type") == kinds[0]), e.where(F.col("event_type") == kinds[1]), "user_id", "ts", 86_400).count()
+    sessions = run(S.session_chain(stream, "user_id", "ts", "30 minutes", "1 seconds"), "t_session")
+    assert 0 < sessions.agg(F.sum("events")).first()[0] <= e.count()
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        live = run(S.pairs_with_processor(stream, "user_id", "ts", "event_type", "3650 days"), "t_pairs")
+        want = builders.succession(e, "user_id", ["ts", "event_id"], "event_type", cyclic=False)
+        assert live.groupBy("src", "dst").count().exceptAll(want.groupBy("src", "dst").count()).isEmpty()
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
+
+
 def test_recommend_and_components_of_workloads(spark, sf2):
     width, table = spectrum.recommend(W.regional(spark, sf2, 1e-3), 6, max_iter=6)
     assert width == 5 and len(table) == 6
