@@ -107,7 +107,7 @@ def solve_arrays(
         ledger.step(width, steps)
         t = time.perf_counter()
         if method == "subspace" or image == "explicit":
-            basis = np.hstack(ring[-depth:])
+            basis = smalldense.orthonormal(np.hstack(ring[-depth:]), rank_rtol)
             moved = op.step(basis)
             ledger.extra_pass(basis.shape[1])
         else:

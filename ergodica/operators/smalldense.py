@@ -38,6 +38,13 @@ def truncate(r11: np.ndarray, rtol: float = RANK_RTOL) -> tuple[np.ndarray, int]
     return vt[:rank].T / np.maximum(s[:rank], 1e-300), rank
 
 
+def orthonormal(w: np.ndarray, rtol: float = RANK_RTOL) -> np.ndarray:
+    """An orthonormal basis of what of W's span is above ``rtol``; the explicit image is taken of it, which keeps the digits that
+    nearly parallel columns lose."""
+    u, s, _ = np.linalg.svd(w / np.maximum(np.linalg.norm(w, axis=0), 1e-300), full_matrices=False)
+    return u[:, : max(1, int((s > rtol * s[0]).sum()))]
+
+
 def _parts(r: np.ndarray, scale: np.ndarray, rtol: float) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
     """(C with scaling undone, coordinates of Q and of P^T Q in the triangle's basis, rank)."""
     r = padded(r)

@@ -22,6 +22,7 @@ from .convergence import ResidualStop, residual
 from .cost import CostLedger
 from .extract import combine, extract_window, tsqr
 from .kernel import _next_check, solve_arrays
+from .smalldense import truncate
 from .step import propagate, propagate_columns
 
 
@@ -86,9 +87,15 @@ def iterate(
         if image == "explicit":
             basis = ring[-depth:]
             wide, names = _window(basis)
-            moved = written(move(chain, wide), "image")
-            ledger.extra_pass(len(names))
-            found, vector = extract_window([wide], extract, moved, rank_rtol)
+            cols = blocks.columns(len(names))
+            norms = wide.agg(*(F.sqrt(F.sum(F.col(c) * F.col(c))).alias(c) for c in cols)).first()
+            scale = np.array([max(float(norms[c] or 0.0), 1e-300) for c in cols])
+            unit = combine(wide, np.diag(1 / scale), cols)
+            c, kept = truncate(tsqr(unit, cols), rank_rtol)
+            q = written(combine(unit, c, cols), "basis")  # orthonormal: its image keeps the digits
+            moved = written(move(chain, q), "image")
+            ledger.extra_pass(kept)
+            found, vector = extract_window([q], extract, moved, rank_rtol)
         else:
             found, vector = extract_window(ring, extract, None, rank_rtol)
         ledger.extractions += 1

@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .work import written
+
 CHAIN_SCHEMA = T.StructType([T.StructField("src", T.LongType(), False), T.StructField("dst", T.LongType(), False), T.StructField("prob", T.DoubleType(), False)])
 RESULT_SCHEMA = T.StructType([T.StructField("state", T.LongType()), T.StructField("label", T.StringType()), T.StructField("pi", T.DoubleType())])
 CONVERGENCE_SCHEMA = T.StructType(
@@ -52,7 +54,8 @@ def read_edges(spark: SparkSession, path: str, fmt: str = "parquet", cols: tuple
 def malformed(spark: SparkSession, path: str, fmt: str, cols: tuple[str, str, str] = ("src", "dst", "w"), kinds: tuple[str, str, str] = ("string", "string", "double"), **options) -> DataFrame:
     schema = ", ".join(f"`{c}` {k}" for c, k in zip(cols, kinds, strict=True)) + ", _corrupt_record string"
     df = spark.read.format(fmt).options(**options).option("mode", "PERMISSIVE").schema(schema).load(path)
-    return df.where(F.col("_corrupt_record").isNotNull()).select("_corrupt_record", *cols)
+    parsed = written(df, "parsed")  # Spark refuses queries that need nothing but the corrupt record
+    return parsed.where(F.col("_corrupt_record").isNotNull()).select("_corrupt_record", *cols)
 
 
 def from_matrix(spark: SparkSession, rows: list[list[float]]) -> DataFrame:

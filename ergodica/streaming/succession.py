@@ -17,10 +17,11 @@ def read_events(spark: SparkSession, path: str, schema: StructType | str, files_
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_a_trigger).parquet(path)
 
 
-def pairs_with_state(stream: DataFrame, key: str, ts: str, state: str, watermark: str = "2 hours") -> DataFrame:
+def pairs_with_state(stream: DataFrame, key: str, ts: str, state: str, watermark: str | None = "2 hours") -> DataFrame:
     """key, src, dst, ts of successive events of each key, by ``applyInPandasWithState``: the state is a key's last event.
 
-    Rows later than the watermark are dropped by Spark; a key silent for ``watermark`` and its timeout is forgotten.
+    Rows later than the watermark are dropped by Spark; a key silent for a day beyond it is forgotten. ``watermark`` None: the
+    stream has one already (``deduplicated``).
     """
 
     def follow(keys, batches: Iterator[pd.DataFrame], group) -> Iterator[pd.DataFrame]:
@@ -40,7 +41,8 @@ def pairs_with_state(stream: DataFrame, key: str, ts: str, state: str, watermark
         group.setTimeoutTimestamp(max(int(last[1] // 1000) + 86_400_000, group.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame(out, columns=["key", "src", "dst", "ts"])
 
-    slim = stream.select(F.col(key).cast("string").alias("key"), F.col(ts).cast("timestamp").alias("ts"), F.col(state).cast("string").alias("state")).withWatermark("ts", watermark)
+    slim = stream.select(F.col(key).cast("string").alias("key"), (F.col(ts).cast("timestamp") if watermark else F.col(ts)).alias("ts"), F.col(state).cast("string").alias("state"))
+    slim = slim.withWatermark("ts", watermark) if watermark else slim
     return slim.groupBy("key").applyInPandasWithState(follow, PAIRS, "state string, at long", "append", "EventTimeTimeout")
 
 
@@ -78,7 +80,10 @@ def succession_counts(pairs: DataFrame) -> DataFrame:
 
 
 def windowed_chain(pairs: DataFrame, window: str = "1 day", slide: str | None = None, watermark: str = "2 hours") -> DataFrame:
-    """start, src, dst, w for tumbling or sliding windows; append mode gives closed windows."""
+    """start, src, dst, w for tumbling or sliding windows; append mode gives closed windows.
+
+    ``pairs`` is a stream of written pairs (src, dst, ts): a second stateful step in one query would need a second watermark.
+    """
     span = F.window("ts", window, slide) if slide else F.window("ts", window)
     return pairs.withWatermark("ts", watermark).groupBy(span.alias("span"), "src", "dst").agg(F.count("*").alias("w")).select(F.col("span.start").alias("start"), "src", "dst", "w")
 
