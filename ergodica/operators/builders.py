@@ -91,21 +91,19 @@ def cosine(a: Column, b: Column) -> Column:
     return dot(a, b) / F.sqrt(dot(a, a) * dot(b, b))
 
 
-def knn(emb: DataFrame, k: int, id_col: str = "vec_id", vec: str = "embedding", blocks: int | None = None) -> DataFrame:
-    """(src, dst, w): each vector's ``k`` nearest by cosine (ties: the lesser id), symmetrised by the maximum.
+def _nearest(placed: DataFrame, k: int) -> DataFrame:
+    """placed (bucket, blocks, id, v) to the symmetrised ``k`` nearest of each id among the vectors of its buckets.
 
-    Exact, in blocks: vectors travel to the cells of a block grid and meet in numpy, which keeps only ``k`` candidates for
-    each row of a cell. So ``blocks`` copies of each vector are shuffled, never pairs.
+    Vectors travel to the cells of a bucket's block grid and meet in numpy, which keeps only ``k`` candidates for each row
+    of a cell: ``blocks`` copies of a vector are shuffled, never pairs, and a task holds two blocks.
     """
     import numpy as np
     import pyarrow as pa
 
-    base = emb.select(F.col(id_col).cast("long").alias("id"), F.col(vec).cast("array<double>").alias("v")).where("id is not null and v is not null")
-    n = blocks or max(1, -(-base.count() // KNN_BLOCK))
-    placed = base.withColumn("b", F.pmod(F.xxhash64("id"), F.lit(n)).cast("int"))
-    every = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
-    left = placed.select("id", "v", F.col("b").alias("i"), every.alias("j")).withColumn("side", F.lit(0))
-    right = placed.select("id", "v", every.alias("i"), F.col("b").alias("j")).withColumn("side", F.lit(1))
+    own = placed.withColumn("b", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    every = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    left = own.select("bucket", "id", "v", F.col("b").alias("i"), every.alias("j")).withColumn("side", F.lit(0))
+    right = own.select("bucket", "id", "v", every.alias("i"), F.col("b").alias("j")).withColumn("side", F.lit(1))
 
     def cell(t: pa.Table) -> pa.Table:
         side, ids = t.column("side").to_numpy(), t.column("id").to_numpy()
@@ -127,33 +125,41 @@ def knn(emb: DataFrame, k: int, id_col: str = "vec_id", vec: str = "embedding",
         keep = np.isfinite(cols[2])
         return pa.table([pa.array(cols[0][keep].astype(np.int64)), pa.array(cols[1][keep].astype(np.int64)), pa.array(cols[2][keep])], names=["src", "dst", "w"])
 
-    near = left.unionByName(right).groupBy("i", "j").applyInArrow(cell, "src long, dst long, w double")
+    near = left.unionByName(right).groupBy("bucket", "i", "j").applyInArrow(cell, "src long, dst long, w double").distinct()
     rank = F.row_number().over(Window.partitionBy("src").orderBy(F.desc("w"), "dst"))
     top = near.withColumn("rank", rank).where(F.col("rank") <= k).select("src", "dst", F.greatest("w", F.lit(1e-12)).alias("w"))
     return top.unionByName(top.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w")).groupBy("src", "dst").agg(F.max("w").alias("w"))
 
 
+def _vectors(emb: DataFrame, id_col: str, vec: str) -> DataFrame:
+    return emb.select(F.col(id_col).cast("long").alias("id"), F.col(vec).cast("array<double>").alias("v")).where("id is not null and v is not null")
+
+
+def knn(emb: DataFrame, k: int, id_col: str = "vec_id", vec: str = "embedding", blocks: int | None = None) -> DataFrame:
+    """(src, dst, w): each vector's ``k`` nearest by cosine (ties: the lesser id), symmetrised by the maximum; exact."""
+    base = _vectors(emb, id_col, vec)
+    n = blocks or max(1, -(-base.count() // KNN_BLOCK))
+    return _nearest(base.select(F.lit("").alias("bucket"), F.lit(n).alias("blocks"), "id", "v"), k)
+
+
 def knn_lsh(emb: DataFrame, k: int, planes: int = 8, tables: int = 8, id_col: str = "vec_id", vec: str = "embedding", seed: int = 7) -> DataFrame:
-    """Approximate ``knn`` for sets too large for the grid: random-hyperplane buckets, exact rerank of a bucket's rows."""
+    """Approximate ``knn`` for sets too large for one grid: random-hyperplane buckets, exact ranking within a bucket; large
+    buckets are grids of blocks themselves."""
     import numpy as np
 
-    dim = len(emb.select(vec).first()[0])
+    first = emb.select(vec).where(F.col(vec).isNotNull()).first()
     rng = np.random.default_rng(seed)
-    base = emb.select(F.col(id_col).cast("long").alias("id"), F.col(vec).cast("array<double>").alias("v"))
     buckets = []
     for t in range(tables):
         bits = []
         for _ in range(planes):
-            plane = F.array(*(F.lit(float(x)) for x in rng.normal(size=dim)))
+            plane = F.array(*(F.lit(float(x)) for x in rng.normal(size=len(first[0]) if first else 1)))
             dot = F.aggregate(F.zip_with("v", plane, lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
             bits.append(F.when(dot > 0, "1").otherwise("0"))
         buckets.append(F.concat(F.lit(f"{t}:"), *bits))
-    placed = base.select("id", "v", F.explode(F.array(*buckets)).alias("bucket"))
-    other = placed.select(F.col("id").alias("dst"), F.col("v").alias("u"), "bucket")
-    pairs = placed.join(other, "bucket").where("id <> dst").select(F.col("id").alias("src"), "dst", cosine(F.col("v"), F.col("u")).alias("w")).distinct()
-    rank = F.row_number().over(Window.partitionBy("src").orderBy(F.desc("w"), "dst"))
-    top = pairs.withColumn("rank", rank).where(F.col("rank") <= k).select("src", "dst", F.greatest("w", F.lit(1e-12)).alias("w"))
-    return top.unionByName(top.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w")).groupBy("src", "dst").agg(F.max("w").alias("w"))
+    placed = _vectors(emb, id_col, vec).select("id", "v", F.explode(F.array(*buckets)).alias("bucket"))
+    sizes = placed.groupBy("bucket").agg(F.ceil(F.count("*") / KNN_BLOCK).cast("int").alias("blocks"))
+    return _nearest(placed.join(sizes, "bucket"), k)
 
 
 def regional(lineitem: DataFrame, orders: DataFrame, customer: DataFrame, supplier: DataFrame, nation: DataFrame, eps: float) -> DataFrame:
