@@ -144,7 +144,7 @@ def word_chain_top100(s, d):
     w = builders.word_succession(load(s, d, "documents"))
     other = w.where("src <> dst").select("src").distinct()
     c = C.from_weights(w.join(other, "src", "left_semi"), "words")
-    solved = kernel.solve_batch(c.edges.withColumn("chain_id", F.lit(0)), depth=4, check_every=10, tol=1e-12)
+    solved = kernel.solve_batch(c.edges.withColumn("chain_id", F.lit(0)), depth=8, check_every=20, tol=1e-10)
     top = results.top_states(c.labelled(solved.select("state", F.round("pi", 9).alias("pi"))).select(F.col("label").alias("state"), "pi"), 100)
     return top.select(F.col("state").alias("label"), F.round("pi", 6).alias("pi"))
 
