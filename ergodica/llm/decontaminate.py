@@ -2,10 +2,12 @@
 
 A *seed* is the hash of the words that a fixed mask keeps out of ``SPAN`` consecutive words; what stands at the ignored
 positions may differ. Seeds of the benchmark join seeds of the documents; around each hit the document is laid against the
-benchmark item along the hit's diagonal and the matching words are counted, so substituted words are tolerated anywhere.
+benchmark item along the hit's diagonal and the matching words are counted, so substituted words are tolerated anywhere. Diagonals of
+one item at most ``REACH`` apart are also laid together, so words inserted or left out between hits are tolerated too.
 
-A document is contaminated by an item if the overlap along a diagonal covers at least ``least_words`` words and at least
-``least_share`` of the item, and at least ``least_share`` of the overlap's words are equal.
+A document is contaminated by an item if a run of the laid words covers at least ``least_words`` words, at least ``least_share`` of the
+run's words are equal, and the equal words are ``RUN_WORDS``, or ``least_share`` of a shorter item; or if the overlap along a diagonal
+covers at least ``least_words`` words and ``least_share`` of the item, and at least ``least_share`` of the overlap's words are equal.
 
 The benchmark's seeds are broadcast only while they are at most ``BROADCAST_SEEDS`` (some 64 MB); beyond that the same join
 runs by shuffle, and documents send only their seeds. Hits (document, item, diagonal) are written, and the documents that have
@@ -19,7 +21,7 @@ ids: kept, matched like others. Null benchmark text: no seeds. Repeated rows: ea
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import slim, written
@@ -28,6 +30,8 @@ SPAN = 11
 # Positions that each mask keeps (weight 7 of a span of 11).
 MASKS = ((0, 1, 2, 4, 7, 9, 10), (0, 2, 3, 5, 6, 8, 10), (0, 1, 4, 5, 6, 9, 10))
 BROADCAST_SEEDS = 1_000_000
+REACH = 8  # words inserted or left out between two hits of one copy, at most
+RUN_WORDS = 13  # equal words in one run that contaminate, whatever the item's length
 
 
 def word_hashes(text: Column) -> Column:
@@ -60,24 +64,52 @@ def contaminations(docs: DataFrame, benchmark: DataFrame, least_words: int = SPA
     hits = doc_seeds.join(F.broadcast(item_seeds) if small else item_seeds, "seed")
     hits = written(hits.select("doc_id", "text_hash", "item_id", (F.col("at") - F.col("item_at")).alias("diagonal")).distinct(), "hits")
     few = hits.limit(BROADCAST_SEEDS + 1).count() <= BROADCAST_SEEDS
-    named = hits.withColumnsRenamed({"doc_id": "__d", "text_hash": "__h"})
+    named = _lays(hits).withColumnsRenamed({"doc_id": "__d", "text_hash": "__h"})
     same = F.col("doc_id").eqNullSafe(F.col("__d")) & F.col("text_hash").eqNullSafe(F.col("__h"))
     keyed = slim(docs, "doc_id", "text").select("doc_id", F.xxhash64("text").alias("text_hash"), "text")
-    back = keyed.join(F.broadcast(named) if few else named, same).select("doc_id", "text_hash", "item_id", "diagonal", word_hashes(F.col("text")).alias("words"))
-    part = F.slice("words", F.greatest("diagonal", F.lit(0)) + 1, F.size("item"))
-    laid = back.join(items, "item_id").select("doc_id", "text_hash", "item_id", "item", "diagonal", part.alias("part"))
-    skipped = F.greatest(-F.col("diagonal"), F.lit(0))
-    against = F.slice("item", skipped + 1, F.size("part"))
-    compared = laid.withColumn("against", against).select(
-        "doc_id", "text_hash", "item_id", F.size("item").alias("item_words"), F.size("against").alias("overlap"),
-        F.aggregate(F.zip_with("part", "against", lambda a, b: F.when(a == b, 1).otherwise(0)), F.lit(0), lambda s, x: s + x).alias("matched"),
-    )
-    enough = (F.col("overlap") >= least_words) & (F.col("overlap") >= least_share * F.col("item_words")) & (F.col("matched") >= least_share * F.col("overlap"))
-    best = F.max(F.struct("matched", "overlap"))
-    found = compared.where(enough).groupBy("doc_id", "text_hash", "item_id").agg(best.alias("b")).select("doc_id", "text_hash", "item_id", "b.matched", "b.overlap")
+    back = keyed.join(F.broadcast(named) if few else named, same).select("doc_id", "text_hash", "item_id", "lays", word_hashes(F.col("text")).alias("words"))
+    laid = back.join(items, "item_id").select("doc_id", "text_hash", "item_id", "item", "words", F.explode("lays").alias("lay"))
+    marked = laid.select("doc_id", "text_hash", "item_id", _marks().alias("marks"))
+    whole = F.struct(F.size(F.filter("marks", lambda m: m)).alias("matched"), F.size(F.filter("marks", lambda m: m.isNotNull())).alias("overlap"))
+    runs = (_run(F.col("marks"), least_share), _run(F.reverse("marks"), least_share))
+    compared = marked.select("doc_id", "text_hash", "item_id", F.size("marks").alias("item_words"), whole.alias("whole"), F.greatest(*runs).alias("run"))
+    covers = (F.col("whole.overlap") >= least_words) & (F.col("whole.overlap") >= least_share * F.col("item_words")) & (F.col("whole.matched") >= least_share * F.col("whole.overlap"))
+    holds = (F.col("run.overlap") >= least_words) & (F.col("run.matched") >= F.least(F.lit(RUN_WORDS), least_share * F.col("item_words")))
+    best = F.max(F.greatest(F.when(covers, F.col("whole")), F.when(holds, F.col("run"))))
+    found = compared.where(covers | holds).groupBy("doc_id", "text_hash", "item_id").agg(best.alias("b")).select("doc_id", "text_hash", "item_id", "b.matched", "b.overlap")
     return found.unionByName(_short_items(texts, items))
 
 
+def _lays(hits: DataFrame) -> DataFrame:
+    """doc_id, text_hash, item_id, lays: one row for each group of diagonals at most ``REACH`` apart; its lays are each diagonal alone
+    and, if there are several, all of them together."""
+    along = Window.partitionBy("doc_id", "text_hash", "item_id").orderBy("diagonal")
+    opens = F.when(F.col("diagonal") - F.lag("diagonal").over(along) <= REACH, 0).otherwise(1)
+    grouped = hits.withColumn("opens", opens).withColumn("near", F.sum("opens").over(along))
+    sets = grouped.groupBy("doc_id", "text_hash", "item_id", "near").agg(F.collect_list("diagonal").alias("all"))
+    single = F.transform("all", lambda d: F.array(d))
+    return sets.select("doc_id", "text_hash", "item_id", F.when(F.size("all") > 1, F.concat(single, F.array("all"))).otherwise(single).alias("lays"))
+
+
+def _marks() -> Column:
+    """For each word of the item whether the document has it on a diagonal of ``lay``; null beyond the document's ends (one diagonal only)."""
+    beyond = F.when(F.size("lay") > 1, False)
+    return F.transform("item", lambda w, i: F.coalesce(F.exists("lay", lambda d: F.get(F.col("words"), i + d) == w), beyond))
+
+
+def _run(marks: Column, share: float) -> Column:
+    """matched, overlap of the run with the most equal words that starts where the share before it fell short, and keeps at least ``share``."""
+    none = F.struct(F.lit(0).alias("matched"), F.lit(0).alias("overlap"))
+    start = F.struct(none.alias("now"), none.alias("best"))
+
+    def step(s: Column, m: Column) -> Column:
+        matched, overlap = s["now"]["matched"] + F.when(m, 1).otherwise(0), s["now"]["overlap"] + 1
+        now = F.when(matched >= share * overlap, F.struct(matched.alias("matched"), overlap.alias("overlap"))).otherwise(none)
+        return F.struct(now.alias("now"), F.when(now["matched"] > s["best"]["matched"], now).otherwise(s["best"]).alias("best"))
+
+    return F.aggregate(marks, start, step, lambda s: s["best"])
+
+
 def _short_items(texts: DataFrame, items: DataFrame) -> DataFrame:
     """Items shorter than a span: all their words, consecutive and equal, by one seed per length that occurs (SPAN - 1 lengths at most)."""
     short = items.where(F.size("item") < SPAN)

@@ -35,6 +35,24 @@ def test_planted_passages(spark, docs_of, words, odd, monkeypatch):
     assert dc.decontaminate(docs.where("false"), bench).isEmpty()
 
 
+def test_long_parts_and_shifted_copies(spark, docs_of, words):
+    rng = random.Random(2)
+    text = lambda n: " ".join(rng.choice(words) for _ in range(n))
+    items = [text(59), text(38), text(15)]
+    bench = spark.createDataFrame([*enumerate(items)], "item_id long, text string")
+    long, mid, short = (t.split() for t in items)
+    around = lambda w: f"{text(20)} {' '.join(w)} {text(25)}"
+    found = [
+        around(long[:30]), around(long[10:45]), around(long[-20:]), around([*long[:29], "zz", *long[29:]]), around([*mid[:19], "zz", "yy", *mid[19:]]), around(long[:29] + long[30:]),
+        around([*long[:20], text(60), *long[40:]]), around([w for i, w in enumerate(long) if i % 13]), around(short), around([*short[:12]]),
+    ]
+    kept = [around(long[:10]), around(mid[20:29]), around(short[3:10]), text(400), around([x for i, w in enumerate(long) for x in (w, *text(2).split())])]
+    got = {r.doc_id: r for r in dc.decontaminate(docs_of(list(enumerate(found + kept))), bench).collect()}
+    assert [got[i].contaminated for i in range(len(found + kept))] == [True] * len(found) + [False] * len(kept)
+    assert (got[0].item_id, got[3].matched, got[4].item_id, got[4].matched, got[5].matched) == (0, 59, 1, 38, 58)
+    assert 30 <= got[0].matched <= got[0].overlap
+
+
 def test_url_parts_and_rules(spark):
     rows = [
         (1, "http://A.Example.NET/en/x?y#z"), (2, "https://example.net"), (3, "https://x.net/fr/"), (4, "http://b.example.com/de/1"), (5, "http://b.example.com/d"), (6, "ftp://x.org/fr/a"), (7, "http://org?x=/fr/"),
