@@ -92,18 +92,18 @@ def cosine(a: Column, b: Column) -> Column:
 
 
 def _nearest(placed: DataFrame, k: int) -> DataFrame:
-    """placed (bucket, blocks, id, v) to the symmetrised ``k`` nearest of each id among the vectors of its buckets.
+    """placed (bucket, home, blocks, home_blocks, id, v) to the symmetrised ``k`` nearest of each id among the vectors at home in its buckets.
 
     Vectors travel to the cells of a bucket's block grid and meet in numpy, which keeps only ``k`` candidates for each row
-    of a cell: ``blocks`` copies of a vector are shuffled, never pairs, and a task holds two blocks.
+    of a cell: ``home_blocks`` copies of a vector are shuffled (``blocks`` of one at home), never pairs, and a task holds two blocks.
     """
     import numpy as np
     import pyarrow as pa
 
-    own = placed.withColumn("b", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
-    every = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    left = own.select("bucket", "id", "v", F.col("b").alias("i"), every.alias("j")).withColumn("side", F.lit(0))
-    right = own.select("bucket", "id", "v", every.alias("i"), F.col("b").alias("j")).withColumn("side", F.lit(1))
+    part = lambda n: F.pmod(F.xxhash64("id"), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    left = placed.select("bucket", "id", "v", part("blocks").alias("i"), every("home_blocks").alias("j")).withColumn("side", F.lit(0))
+    right = placed.where("home").select("bucket", "id", "v", every("blocks").alias("i"), part("home_blocks").alias("j")).withColumn("side", F.lit(1))
 
     def cell(t: pa.Table) -> pa.Table:
         side, ids = t.column("side").to_numpy(), t.column("id").to_numpy()
@@ -139,26 +139,42 @@ def knn(emb: DataFrame, k: int, id_col: str = "vec_id", vec: str = "embedding",
     """(src, dst, w): each vector's ``k`` nearest by cosine (ties: the lesser id), symmetrised by the maximum; exact."""
     base = _vectors(emb, id_col, vec)
     n = blocks or max(1, -(-base.count() // KNN_BLOCK))
-    return _nearest(base.select(F.lit("").alias("bucket"), F.lit(n).alias("blocks"), "id", "v"), k)
+    return _nearest(base.select(F.lit(0).alias("bucket"), F.lit(True).alias("home"), F.lit(n).alias("blocks"), F.lit(n).alias("home_blocks"), "id", "v"), k)
 
 
-def knn_lsh(emb: DataFrame, k: int, planes: int = 8, tables: int = 8, id_col: str = "vec_id", vec: str = "embedding", seed: int = 7) -> DataFrame:
-    """Approximate ``knn`` for sets too large for one grid: random-hyperplane buckets, exact ranking within a bucket; large
-    buckets are grids of blocks themselves."""
+def knn_lsh(emb: DataFrame, k: int, planes: int = 8, tables: int = 8, id_col: str = "vec_id", vec: str = "embedding", seed: int = 7, probes: int = 20) -> DataFrame:
+    """Approximate ``knn`` for sets too large for one grid: buckets of orthonormal hyperplanes, exact ranking within a bucket; large
+    buckets are grids of blocks themselves.
+
+    A vector is at home in one bucket of each table and looks into ``probes`` of them, those whose sides it is nearest to. Every vector
+    is then compared with ``tables * probes / 2**planes`` of the set at most; neighbours of low cosine need a large part of it.
+    """
     import numpy as np
+    import pyarrow as pa
 
-    first = emb.select(vec).where(F.col(vec).isNotNull()).first()
-    rng = np.random.default_rng(seed)
-    buckets = []
-    for t in range(tables):
-        bits = []
-        for _ in range(planes):
-            plane = F.array(*(F.lit(float(x)) for x in rng.normal(size=len(first[0]) if first else 1)))
-            dot = F.aggregate(F.zip_with("v", plane, lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
-            bits.append(F.when(dot > 0, "1").otherwise("0"))
-        buckets.append(F.concat(F.lit(f"{t}:"), *bits))
-    placed = _vectors(emb, id_col, vec).select("id", "v", F.explode(F.array(*buckets)).alias("bucket"))
-    sizes = placed.groupBy("bucket").agg(F.ceil(F.count("*") / KNN_BLOCK).cast("int").alias("blocks"))
+    base = _vectors(emb, id_col, vec)
+    first = base.first()
+    size, probes = len(first["v"]) if first else 1, min(probes, 1 << planes)
+    normals = np.random.default_rng(seed).normal(size=(tables * planes, max(1, size)))
+    normals = np.vstack([np.linalg.qr(normals[at : at + max(1, size)].T)[0].T for at in range(0, len(normals), max(1, size))])
+    sides = np.array([[1.0 if code >> p & 1 else -1.0 for p in range(planes)] for code in range(1 << planes)])
+
+    def look(batches):
+        for batch in batches:
+            if batch.num_rows == 0:
+                continue
+            v = np.array(batch.column("v").to_pylist(), np.float64).reshape(batch.num_rows, -1)
+            found = []
+            for t in range(tables):
+                far = -(v @ normals[t * planes : (t + 1) * planes].T) @ sides.T
+                found.append(np.argsort(far, axis=1, kind="stable")[:, :probes] + (t << planes))
+            buckets = pa.array(list(np.hstack(found).astype(np.int64)), pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column("id"), batch.column("v"), buckets], names=["id", "v", "buckets"])
+
+    looked = base.mapInArrow(look, "id long, v array<double>, buckets array<long>").select("id", "v", F.posexplode("buckets").alias("at", "bucket"))
+    placed = looked.select("id", "v", "bucket", (F.col("at") % probes == 0).alias("home"))
+    blocks = lambda n: F.ceil(n / KNN_BLOCK).cast("int")
+    sizes = placed.groupBy("bucket").agg(blocks(F.count("*")).alias("blocks"), F.greatest(blocks(F.count_if("home")), F.lit(1)).alias("home_blocks"))
     return _nearest(placed.join(sizes, "bucket"), k)
 
 

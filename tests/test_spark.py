@@ -203,6 +203,23 @@ def test_builders(spark):
     assert sorted(map(tuple, g.select("src", "dst").collect())) == sorted(map(tuple, one.select("src", "dst").collect()))
 
 
+@pytest.mark.parametrize("scale", ["sf0.01", "sf0.1"])
+def test_lsh_recall(spark, scale):
+    from ergodica import queries
+
+    assert queries.knn_lsh_recall(spark, f"/root/testdata/{scale}").first().recall >= 0.9
+
+
+def test_lsh_with_every_bucket_is_exact(spark, monkeypatch):
+    rng = np.random.default_rng(4)
+    emb = spark.createDataFrame([(i, rng.normal(size=6).tolist()) for i in range(90)], "vec_id long, embedding array<double>")
+    exact = builders.knn(emb, 3)
+    for size in (4096, 7):
+        monkeypatch.setattr(builders, "KNN_BLOCK", size)
+        assert builders.knn_lsh(emb, 3, planes=3, tables=2, probes=8).select("src", "dst").exceptAll(exact.select("src", "dst")).isEmpty()
+    assert builders.knn_lsh(emb.where("false"), 3).isEmpty()
+
+
 def test_surfaces(spark, coupled):
     views.register(spark, coupled, accuracy.visit_share(coupled.edges.withColumnRenamed("prob", "w")), "t_")
     assert spark.sql("select count(*) from t_chain").first()[0] == coupled.edges.count()
