@@ -46,15 +46,20 @@ def stationary_of(src: pd.Series, dst: pd.Series, w: pd.Series) -> np.ndarray:
 
 
 class Stationary:
-    """TABLE(src, dst, w) PARTITION BY a key, width, depth, tol -> (state, pi, iterations, residual)."""
+    """TABLE(src, dst, w) PARTITION BY a key, width, depth, tol -> (state, pi, iterations, residual, chain_id).
+
+    ``chain_id`` is the partition's column of this name; null for a table without one.
+    """
 
     def __init__(self) -> None:
         self.rows: list[tuple[int, int, float]] = []
         self.options: tuple[int, int, float] = (4, 1, 1e-10)
+        self.chain: int | None = None
 
     def eval(self, row, width: int, depth: int, tol: float):
         self.rows.append((row["src"], row["dst"], float(row["w"])))
         self.options = (width, depth, tol)
+        self.chain = row["chain_id"] if "chain_id" in row else None
 
     def terminate(self):
         if not self.rows:
@@ -65,7 +70,7 @@ class Stationary:
         n = len(set(t.src) | set(t.dst))
         r = solve_arrays(t.src.to_numpy(np.int64), t.dst.to_numpy(np.int64), prob.to_numpy(), width=min(width, n), depth=depth, tol=tol, check_every=5)
         for s, p in zip(r.states.tolist(), r.pi.tolist(), strict=True):
-            yield s, p, r.ledger.iterations, float(r.residual)
+            yield s, p, r.ledger.iterations, float(r.residual), self.chain
 
 
 class ReleaseSiteMoves:
@@ -94,7 +99,7 @@ def register(spark: SparkSession) -> None:
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION matvec_saving(base DOUBLE, other DOUBLE) RETURNS DOUBLE RETURN 100 * (1 - other / base)")
     spark.udf.register("combine", combine)
     spark.udf.register("stationary_of", stationary_of)
-    spark.udtf.register("stationary", F.udtf(Stationary, returnType="state bigint, pi double, iterations bigint, residual double"))
+    spark.udtf.register("stationary", F.udtf(Stationary, returnType="state bigint, pi double, iterations bigint, residual double, chain_id bigint"))
     spark.udtf.register("release_site_moves", F.udtf(ReleaseSiteMoves, returnType="dst bigint, prob double"))
 
 

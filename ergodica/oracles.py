@@ -154,4 +154,5 @@ def oracle_sql() -> dict[str, str]:
         "stream_succession": "WITH o AS (SELECT event_type AS src, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS dst FROM events) SELECT src, dst, count(*) AS w FROM o WHERE dst IS NOT NULL GROUP BY ALL",
     }
     found["knn_window"] = found["knn_block"]
+    found["sql_stationary_users"] = found["user_batch"]
     return found

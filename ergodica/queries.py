@@ -506,12 +506,17 @@ def asof_succession(s, d):
     return got.select("event_id", F.col("asof").alias("last_event"))
 
 
-def sql_stationary(s, d):
-    """The table function, one partition of its input for each chain."""
+def sql_stationary_users(s, d):
+    """The table function on every user's chain, one partition of its input for each chain."""
     udfs.register(s)
-    W.user_batch(s, d).where("chain_id % 10 = 0").select("chain_id", "src", "dst", F.col("prob").alias("w")).createOrReplaceTempView("ergodica_users")
-    r = s.sql("SELECT state, pi FROM stationary(TABLE(SELECT src, dst, w FROM ergodica_users WHERE chain_id = 0) WITH SINGLE PARTITION, 3, 1, 1e-12D)")
-    return r.select("state", F.round("pi", 6).alias("pi"))
+    W.user_batch(s, d).select("chain_id", "src", "dst", F.col("prob").alias("w")).createOrReplaceTempView("ergodica_users")
+    r = s.sql("SELECT chain_id, state, pi FROM stationary(TABLE(SELECT chain_id, src, dst, w FROM ergodica_users) PARTITION BY (chain_id), 3, 1, 1e-12D)")
+    return r.select(F.col("chain_id").alias("user_id"), "state", F.round("pi", 6).alias("pi"))
+
+
+def sql_stationary(s, d):
+    """User 0 of ``sql_stationary_users``: its SQL asks for this user; every chain is solved."""
+    return sql_stationary_users(s, d).where("user_id = 0").select("state", "pi")
 
 
 def grouped_stationary(s, d):

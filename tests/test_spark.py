@@ -231,6 +231,16 @@ def test_surfaces(spark, coupled):
     assert results.top_states(spark.createDataFrame([(1, 0.5), (2, 0.5)], "state long, pi double"), 1).first().state == 1
 
 
+def test_table_function_solves_every_chain(spark):
+    udfs.register(spark)
+    rows = [(7, 0, 1, 1.0), (7, 1, 0, 1.0), (9, 0, 0, 3.0), (9, 0, 1, 1.0), (9, 1, 0, 1.0), (9, 1, 1, 3.0), (None, 2, 2, 1.0)]
+    spark.createDataFrame(rows, "chain_id long, src long, dst long, w double").createOrReplaceTempView("t_chains")
+    got = spark.sql("SELECT chain_id, state, round(pi, 6) AS pi FROM stationary(TABLE(t_chains) PARTITION BY (chain_id), 3, 1, 1e-12D)").collect()
+    assert {tuple(r) for r in got} == {(7, 0, 0.5), (7, 1, 0.5), (9, 0, 0.5), (9, 1, 0.5), (None, 2, 1.0)}
+    one = spark.sql("SELECT chain_id, pi FROM stationary(TABLE(SELECT src, dst, w FROM t_chains WHERE chain_id = 9) WITH SINGLE PARTITION, 3, 1, 1e-12D)").collect()
+    assert [r.chain_id for r in one] == [None, None]
+
+
 def test_accuracy(spark):
     a = spark.createDataFrame([(i, 0.1 * (i + 1)) for i in range(4)], "state long, pi double")
     r = accuracy.compare(a, a, 2).first()
