@@ -529,11 +529,12 @@ def stream_succession(s, d):
     """Counts of successive event types from a file stream, run to its end."""
     path, out = f"{d}/events*.parquet", f"{shared_dir(s)}/ergodica/stream-{uuid.uuid4().hex}"
     schema = load(s, d, "events").schema
-    pairs = stream.pairs_with_state(stream.read_events(s, path, schema), "user_id", "ts", "event_type", "3650 days")
+    pairs = stream.pairs_with_state(stream.read_events(s, path, schema), "user_id", "ts", "event_type", "3650 days", "event_id")
     q = pairs.writeStream.outputMode("append").option("checkpointLocation", f"{out}-state").format("parquet").option("path", f"{out}-pairs").trigger(availableNow=True).start()
     q.awaitTermination()
-    return s.read.parquet(f"{out}-pairs").groupBy("src", "dst").agg(F.count("*").alias("w"))
-
+    if late := stream.dropped(q):
+        raise ValueError(f"{late} events came later than the watermark")
+    return s.read.parquet(f"{out}-pairs").groupBy("src", "dst").agg(F.sum("w").alias("w")).where("w <> 0")
 
 
 def queries() -> dict[str, Query]:

@@ -5,87 +5,121 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
+from pyspark.sql import types as T
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle, StreamingQuery
 from pyspark.sql.types import StructType
 
-PAIRS = "key string, src string, dst string, ts timestamp"
+PAIRS = "key string, src string, dst string, ts timestamp, w long"
+MARGIN_MS = 86_400_000  # beyond the watermark: a zone's offset, or a silent key's stay
 
 
 def read_events(spark: SparkSession, path: str, schema: StructType | str, files_a_trigger: int = 4) -> DataFrame:
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_a_trigger).parquet(path)
 
 
-def pairs_with_state(stream: DataFrame, key: str, ts: str, state: str, watermark: str | None = "2 hours") -> DataFrame:
-    """key, src, dst, ts of successive events of each key, by ``applyInPandasWithState``: the state is a key's last event.
-
-    Rows later than the watermark are dropped by Spark; a key silent for a day beyond it is forgotten. ``watermark`` None: the
-    stream has one already (``deduplicated``).
+def _held(order: T.DataType) -> T.StructType:
+    """A key's state: time, order and state of its events, by rising time."""
+    return T.StructType([T.StructField(n, T.ArrayType(t)) for n, t in (("at", T.LongType()), ("order", order), ("state", T.StringType()))])
+
+
+def _merge(key: str, held: tuple | None, batches: Iterator[pd.DataFrame], watermark_ms: int) -> tuple[tuple, pd.DataFrame]:
+    """A key's held events and the new ones to what is held next, and the pairs that come (w = 1) and go (w = -1)."""
+    rows = pd.concat(list(batches))
+    rows = rows[rows["ts"].notna()]
+    old = [(*e, False) for e in zip(*held, strict=True)] if held else []
+    new = zip((t.value // 1000 for t in rows["ts"].astype("datetime64[ns]")), rows["order"].tolist(), (None if pd.isna(x) else x for x in rows["state"]), strict=True)
+    merged = sorted(old + [(*e, True) for e in new], key=lambda e: e[:2])
+    out, last = [], None
+    for p, q in zip([None, *merged], merged, strict=False):
+        if p and (p[3] or q[3]):
+            out.append((p[2], q[2], q[0], 1))
+        if p and p[3] and not q[3] and last:
+            out.append((last[2], q[2], q[0], -1))
+        last = last if q[3] else q
+    open_ = next((i for i, e in enumerate(merged) if e[0] > (watermark_ms - MARGIN_MS) * 1000), len(merged))
+    kept = merged[max(0, open_ - 1) :]  # a later row can still follow the last event before the watermark
+    pairs = pd.DataFrame({"key": key, "src": [x[0] for x in out], "dst": [x[1] for x in out], "ts": pd.to_datetime([x[2] for x in out], unit="us"), "w": pd.Series([x[3] for x in out], dtype="int64")}, index=range(len(out)))
+    return tuple([e[i] for e in kept] for i in range(3)), pairs
+
+
+def pairs_with_state(stream: DataFrame, key: str, ts: str, state: str, watermark: str | None = "2 hours", order: str | None = None) -> DataFrame:
+    """key, src, dst, ts, w of successive events of each key, by ``applyInPandasWithState``.
+
+    The state is a key's events since the watermark and the last one before it. An event that is earlier than others seen is put
+    in its place: the pair that it parts is taken back by a row of ``w`` -1, so sums of ``w`` are those of the events in time order.
+    Equal times are ordered by ``order`` (no nulls), or by arrival. Rows without a time are left out. Rows later than the watermark are dropped by
+    Spark (``dropped`` counts them); a key silent for a day beyond it is forgotten. ``watermark`` None: the stream has one already
+    (``deduplicated``).
     """
 
     def follow(keys, batches: Iterator[pd.DataFrame], group) -> Iterator[pd.DataFrame]:
         if group.hasTimedOut:
             group.remove()
             return
-        last = group.get if group.exists else (None, None)
-        rows = pd.concat(list(batches)).sort_values("ts", kind="stable")
-        out = []
-        for t, s in zip(rows["ts"], rows["state"], strict=True):
-            at = int(t.value // 1000)
-            if last[0] is not None and at >= last[1]:
-                out.append((keys[0], last[0], s, t))
-            if last[1] is None or at >= last[1]:
-                last = (s, at)
-        group.update(last)
-        group.setTimeoutTimestamp(max(int(last[1] // 1000) + 86_400_000, group.getCurrentWatermarkMs() + 1))
-        yield pd.DataFrame(out, columns=["key", "src", "dst", "ts"])
-
-    slim = stream.select(F.col(key).cast("string").alias("key"), (F.col(ts).cast("timestamp") if watermark else F.col(ts)).alias("ts"), F.col(state).cast("string").alias("state"))
+        held, pairs = _merge(keys[0], group.get if group.exists else None, batches, group.getCurrentWatermarkMs())
+        if held[0]:
+            group.update(held)
+            group.setTimeoutTimestamp(max(int(held[0][-1] // 1000) + MARGIN_MS, group.getCurrentWatermarkMs() + 1))
+        yield pairs
+
+    slim = _slim(stream, key, ts, state, order, watermark)
     slim = slim.withWatermark("ts", watermark) if watermark else slim
-    return slim.groupBy("key").applyInPandasWithState(follow, PAIRS, "state string, at long", "append", "EventTimeTimeout")
+    return slim.groupBy("key").applyInPandasWithState(follow, PAIRS, _held(slim.schema["order"].dataType), "append", "EventTimeTimeout")
+
+
+def _slim(stream: DataFrame, key: str, ts: str, state: str, order: str | None, watermark: str | None) -> DataFrame:
+    at = F.col(ts).cast("timestamp") if watermark else F.col(ts)
+    return stream.select(F.col(key).cast("string").alias("key"), at.alias("ts"), F.col(state).cast("string").alias("state"), (F.col(order) if order else F.lit(0)).alias("order"))
 
 
 class Follow(StatefulProcessor):
     """The same with ``transformWithStateInPandas`` and a value state."""
 
+    def __init__(self, order: T.DataType) -> None:
+        self.order = order
+
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.last = handle.getValueState("last", "state string, at long")
+        self.held = handle.getValueState("held", _held(self.order))
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timers) -> Iterator[pd.DataFrame]:
-        last = self.last.get() if self.last.exists() else (None, None)
-        out = []
-        for t, s in pd.concat(list(rows)).sort_values("ts", kind="stable")[["ts", "state"]].itertuples(index=False):
-            at = int(t.value // 1000)
-            if last[0] is not None and at >= last[1]:
-                out.append((key[0], last[0], s, t))
-            if last[1] is None or at >= last[1]:
-                last = (s, at)
-        self.last.update(last)
-        yield pd.DataFrame(out, columns=["key", "src", "dst", "ts"])
+        held, pairs = _merge(key[0], self.held.get() if self.held.exists() else None, rows, timers.getCurrentWatermarkInMs())
+        self.held.update(held)
+        yield pairs
 
     def close(self) -> None:
         pass
 
 
-def pairs_with_processor(stream: DataFrame, key: str, ts: str, state: str, watermark: str = "2 hours") -> DataFrame:
+def pairs_with_processor(stream: DataFrame, key: str, ts: str, state: str, watermark: str = "2 hours", order: str | None = None) -> DataFrame:
     """Needs the RocksDB state store provider to be set in the session."""
-    slim = stream.select(F.col(key).cast("string").alias("key"), F.col(ts).cast("timestamp").alias("ts"), F.col(state).cast("string").alias("state")).withWatermark("ts", watermark)
-    return slim.groupBy("key").transformWithStateInPandas(Follow(), PAIRS, "Append", "EventTime")
+    slim = _slim(stream, key, ts, state, order, watermark).withWatermark("ts", watermark)
+    return slim.groupBy("key").transformWithStateInPandas(Follow(slim.schema["order"].dataType), PAIRS, "Append", "EventTime")
+
+
+def dropped(query: StreamingQuery) -> int:
+    """Rows that came later than the watermark, over the progress the session keeps (``spark.sql.streaming.numRecentProgressUpdates``)."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
+def weight(pairs: DataFrame) -> Column:
+    """The pairs' number: the sum of ``w`` where they have it."""
+    return F.sum("w") if "w" in pairs.columns else F.count("*")
 
 
 def succession_counts(pairs: DataFrame) -> DataFrame:
     """Running counts (update or complete mode)."""
-    return pairs.groupBy("src", "dst").agg(F.count("*").alias("w"))
+    return pairs.groupBy("src", "dst").agg(weight(pairs).alias("w"))
 
 
 def windowed_chain(pairs: DataFrame, window: str = "1 day", slide: str | None = None, watermark: str = "2 hours") -> DataFrame:
     """start, src, dst, w for tumbling or sliding windows; append mode gives closed windows.
 
-    ``pairs`` is a stream of written pairs (src, dst, ts): a second stateful step in one query would need a second watermark.
+    ``pairs`` is a stream of written pairs (src, dst, ts, and w if they have it): a second stateful step in one query would need a second watermark.
     """
     span = F.window("ts", window, slide) if slide else F.window("ts", window)
-    return pairs.withWatermark("ts", watermark).groupBy(span.alias("span"), "src", "dst").agg(F.count("*").alias("w")).select(F.col("span.start").alias("start"), "src", "dst", "w")
+    return pairs.withWatermark("ts", watermark).groupBy(span.alias("span"), "src", "dst").agg(weight(pairs).alias("w")).select(F.col("span.start").alias("start"), "src", "dst", "w")
 
 
 def session_chain(stream: DataFrame, key: str, ts: str, gap: str = "30 minutes", watermark: str = "2 hours") -> DataFrame:
@@ -120,9 +154,9 @@ class Refresher:
 
         import numpy as np
 
-        new = batch.groupBy("src", "dst").agg(F.count("*").cast("double").alias("w"))
+        new = batch.groupBy("src", "dst").agg(weight(batch).cast("double").alias("w"))
         self.counts = written(new if self.counts is None else self.counts.unionByName(new).groupBy("src", "dst").agg(F.sum("w").alias("w")), "counts")
-        t = normalise(self.counts).toPandas()
+        t = normalise(self.counts.where("w <> 0")).toPandas()
         if t.empty:
             return
         names = sorted(set(t.src) | set(t.dst))

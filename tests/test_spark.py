@@ -256,6 +256,41 @@ def test_streaming(spark, sf):
     assert live == {(r.src, r.dst): r["count"] for r in batch.collect()}
 
 
+@pytest.mark.parametrize("with_state", [True, False])
+def test_shuffled_events_over_many_files(spark, sf, tmp_path, with_state):
+    from ergodica import queries
+    from ergodica.streaming import succession as S
+
+    e = T.load(spark, sf, "events")
+    e.withColumn("part", F.pmod(F.xxhash64("event_id"), F.lit(11))).repartition(11, "part").sortWithinPartitions(F.rand(3)).drop("part").write.parquet(str(tmp_path / "events.parquet"))
+    assert len(list((tmp_path / "events.parquet").glob("*.parquet"))) > 4
+    want = {tuple(r) for r in builders.succession(e, "user_id", ["ts", "event_id"], "event_type", cyclic=False).groupBy("src", "dst").count().collect()}
+    if with_state:
+        assert {tuple(r) for r in queries.stream_succession(spark, str(tmp_path)).collect()} == want
+        return
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        live = S.pairs_with_processor(S.read_events(spark, str(tmp_path / "events.parquet"), e.schema), "user_id", "ts", "event_type", "3650 days", "event_id")
+        q = live.writeStream.format("memory").queryName("t_shuffled").outputMode("append").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+        q.awaitTermination()
+        assert {tuple(r) for r in S.succession_counts(spark.table("t_shuffled")).where("w <> 0").collect()} == want and S.dropped(q) == 0
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    from ergodica.streaming import succession as S
+
+    rows = [("a", "2024-01-02 00:00:00", "x"), ("a", "2024-01-02 00:30:00", "y"), ("a", "2024-01-01 00:00:00", "z"), ("a", "2024-01-02 00:20:00", "u")]
+    for r in rows:
+        spark.createDataFrame([r], "k string, ts string, s string").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    pairs = S.pairs_with_state(S.read_events(spark, str(tmp_path / "in"), "k string, ts string, s string", 1), "k", "ts", "s", "2 hours")
+    q = pairs.writeStream.format("memory").queryName("t_late").outputMode("append").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert S.dropped(q) == 1
+    assert {tuple(r) for r in S.succession_counts(spark.table("t_late")).where("w <> 0").collect()} == {("x", "u", 1), ("u", "y", 1)}
+
+
 def test_refresher_and_windows(spark, sf, tmp_path):
     from ergodica.streaming import succession as S
 
