@@ -14,6 +14,8 @@ runs by shuffle, and documents send only their seeds. Hits (document, item, diag
 any are read again for the comparison: no text is shuffled while the hits are few enough to broadcast. Copies of a passage meet the item's seeds, never each other, so
 nothing grows with the square of a group.
 
+Masks find what the rule accepts with high probability only: README states the recall measured.
+
 Words are lower-cased runs of letters and digits. Defined results. Null or empty text, texts shorter than a span: not
 contaminated. Items shorter than a span are matched whole, by exact equality of consecutive words (their seed is the full item). Null
 ids: kept, matched like others. Null benchmark text: no seeds. Repeated rows: each judged. Extra columns are ignored or carried.
@@ -27,8 +29,9 @@ from pyspark.sql import functions as F
 from .common import slim, written
 
 SPAN = 11
-# Positions that each mask keeps (weight 7 of a span of 11).
-MASKS = ((0, 1, 2, 4, 7, 9, 10), (0, 2, 3, 5, 6, 8, 10), (0, 1, 4, 5, 6, 9, 10))
+# Positions that each mask keeps: weight 7 of a span of 11, and weight 4 of shorter spans for words substituted densely.
+MASKS = ((0, 1, 2, 4, 7, 9, 10), (0, 2, 3, 5, 6, 8, 10), (0, 1, 4, 5, 6, 9, 10), (0, 2, 3, 6), (0, 3, 4, 5), (0, 2, 7, 8))
+SHORTEST = min(mask[-1] for mask in MASKS) + 1
 BROADCAST_SEEDS = 1_000_000
 REACH = 8  # words inserted or left out between two hits of one copy, at most
 RUN_WORDS = 13  # equal words in one run that contaminate, whatever the item's length
@@ -41,14 +44,15 @@ def word_hashes(text: Column) -> Column:
 
 
 def seeds(array: str, at: Column) -> Column:
-    """The masks' seeds of the span that starts at ``at``."""
-    return F.array(*(F.xxhash64(F.lit(m), *(F.get(F.col(array), at + p) for p in mask)) for m, mask in enumerate(MASKS)))
+    """The masks' seeds of the spans that start at ``at``; null for a mask that reaches beyond the end."""
+    ends = F.size(array)
+    return F.array(*(F.when(at + mask[-1] < ends, F.xxhash64(F.lit(m), *(F.get(F.col(array), at + p) for p in mask))) for m, mask in enumerate(MASKS)))
 
 
 def _spans(df: DataFrame, keep: list[str], array: str) -> DataFrame:
     """keep, array, at, seed: every seed of every span."""
-    placed = df.where(F.size(array) >= SPAN).select(*keep, array, F.explode(F.sequence(F.lit(0), F.size(array) - SPAN)).alias("at"))
-    return placed.select(*keep, array, "at", F.explode(seeds(array, F.col("at"))).alias("seed"))
+    placed = df.where(F.size(array) >= SPAN).select(*keep, array, F.explode(F.sequence(F.lit(0), F.size(array) - SHORTEST)).alias("at"))
+    return placed.select(*keep, array, "at", F.explode(seeds(array, F.col("at"))).alias("seed")).where("seed is not null")
 
 
 def contaminations(docs: DataFrame, benchmark: DataFrame, least_words: int = SPAN, least_share: float = 0.6) -> DataFrame:
@@ -67,7 +71,8 @@ def contaminations(docs: DataFrame, benchmark: DataFrame, least_words: int = SPA
     named = _lays(hits).withColumnsRenamed({"doc_id": "__d", "text_hash": "__h"})
     same = F.col("doc_id").eqNullSafe(F.col("__d")) & F.col("text_hash").eqNullSafe(F.col("__h"))
     keyed = slim(docs, "doc_id", "text").select("doc_id", F.xxhash64("text").alias("text_hash"), "text")
-    back = keyed.join(F.broadcast(named) if few else named, same).select("doc_id", "text_hash", "item_id", "lays", word_hashes(F.col("text")).alias("words"))
+    back = keyed.join(F.broadcast(named) if few else named, same).select("doc_id", "text_hash", "near", word_hashes(F.col("text")).alias("words"))
+    back = back.select("doc_id", "text_hash", "words", F.explode("near").alias("near")).select("doc_id", "text_hash", "words", "near.item_id", "near.lays")
     laid = back.join(items, "item_id").select("doc_id", "text_hash", "item_id", "item", "words", F.explode("lays").alias("lay"))
     marked = laid.select("doc_id", "text_hash", "item_id", _marks().alias("marks"))
     whole = F.struct(F.size(F.filter("marks", lambda m: m)).alias("matched"), F.size(F.filter("marks", lambda m: m.isNotNull())).alias("overlap"))
@@ -81,14 +86,15 @@ def contaminations(docs: DataFrame, benchmark: DataFrame, least_words: int = SPA
 
 
 def _lays(hits: DataFrame) -> DataFrame:
-    """doc_id, text_hash, item_id, lays: one row for each group of diagonals at most ``REACH`` apart; its lays are each diagonal alone
-    and, if there are several, all of them together."""
+    """doc_id, text_hash, near (item_id, lays): one row for each document, with its groups of diagonals of an item at most ``REACH`` apart; the
+    lays of a group are each diagonal alone and, if there are several, all of them together."""
     along = Window.partitionBy("doc_id", "text_hash", "item_id").orderBy("diagonal")
     opens = F.when(F.col("diagonal") - F.lag("diagonal").over(along) <= REACH, 0).otherwise(1)
     grouped = hits.withColumn("opens", opens).withColumn("near", F.sum("opens").over(along))
     sets = grouped.groupBy("doc_id", "text_hash", "item_id", "near").agg(F.collect_list("diagonal").alias("all"))
     single = F.transform("all", lambda d: F.array(d))
-    return sets.select("doc_id", "text_hash", "item_id", F.when(F.size("all") > 1, F.concat(single, F.array("all"))).otherwise(single).alias("lays"))
+    lays = F.when(F.size("all") > 1, F.concat(single, F.array("all"))).otherwise(single)
+    return sets.groupBy("doc_id", "text_hash").agg(F.collect_list(F.struct("item_id", lays.alias("lays"))).alias("near"))
 
 
 def _marks() -> Column:

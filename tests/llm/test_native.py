@@ -53,6 +53,27 @@ def test_long_parts_and_shifted_copies(spark, docs_of, words):
     assert 30 <= got[0].matched <= got[0].overlap
 
 
+@pytest.mark.parametrize(("n", "swapped", "least"), [(15, 3, 1.0), (15, 4, 0.98), (15, 5, 0.95), (15, 6, 0.85), (20, 8, 0.93)])
+def test_recall_of_substituted_items(spark, docs_of, n, swapped, least):
+    rng = random.Random(n + swapped)
+    text = lambda k: [f"w{rng.randrange(3000)}" for _ in range(k)]
+    items = [text(n) for _ in range(200)]
+    copies = [[f"x{i}" if i in out else w for i, w in enumerate(t)] for t in items for out in [set(rng.sample(range(n), swapped))]]
+    docs = docs_of([(i, " ".join([*text(20), *c, *text(20)])) for i, c in enumerate(copies)])
+    bench = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(items)], "item_id long, text string")
+    got = dc.decontaminate(docs, bench).where("contaminated and item_id = doc_id").count()
+    assert got >= least * len(items)
+
+
+def test_dense_substitution_and_a_split_short_item(spark, docs_of):
+    words = [f"w{i}" for i in range(45)]
+    bench = spark.createDataFrame([(0, " ".join(words)), (1, " ".join(f"v{i}" for i in range(15)))], "item_id long, text string")
+    every = lambda k: " ".join("x" if i % k == k - 1 else w for i, w in enumerate(words))
+    split = " ".join([*(f"v{i}" for i in range(7)), "x", *(f"v{i}" for i in range(7, 15))])
+    got = {r.doc_id: r.item_id for r in dc.decontaminate(docs_of([(0, every(3)), (1, split), (2, every(2))]), bench).collect()}
+    assert got == {0: 0, 1: 1, 2: None}
+
+
 def test_url_parts_and_rules(spark):
     rows = [
         (1, "http://A.Example.NET/en/x?y#z"), (2, "https://example.net"), (3, "https://x.net/fr/"), (4, "http://b.example.com/de/1"), (5, "http://b.example.com/d"), (6, "ftp://x.org/fr/a"), (7, "http://org?x=/fr/"),
