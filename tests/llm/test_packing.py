@@ -66,6 +66,46 @@ def test_best_fit_is_tightest_and_bounded():
     assert len(fill) < 1.1 * sum(sizes) / 2048
 
 
-def test_few_sequences(spark, sf2):
-    r = pk.pack(spark.read.parquet(f"{sf2}/documents.parquet"), pk.tokenizer_path()).selectExpr("count(distinct sequence_id) n", "sum(length) / 2048 least").first()
+def naive(sizes, size, most):
+    """Best-fit by a scan of a list of open bins (free, opened at): (bin, offset) of each size."""
+    bins, made, out = [], 0, []
+    for s in sizes:
+        fits = [b for b in bins if b[0] >= s]
+        if fits:
+            tight = min(b[0] for b in fits)
+            best = [b for b in fits if b[0] == tight][-1]  # the one that came to this free space last
+            bins.remove(best)
+        else:
+            best, made = (size, made), made + 1
+        out.append((best[1], size - best[0]))
+        if best[0] > s:
+            if len(bins) >= most:
+                full = min(b[0] for b in bins)
+                bins.remove([b for b in bins if b[0] == full][-1])
+            bins.append((best[0] - s, best[1]))
+    return out
+
+
+@pytest.mark.parametrize("seed", range(5))
+def test_best_fit_is_the_naive_one(seed):
+    rng = random.Random(seed)
+    sizes = [rng.choice((1, 2, 50, rng.randint(1, 100))) for _ in range(800)]
+    most = rng.choice((1, 3, 20, 1000))
+    b = pk.BestFit(100, most)
+    assert [b.place(s) for s in sizes] == naive(sizes, 100, most)
+
+
+@pytest.mark.parametrize("parts", [1, 64])
+def test_few_sequences(spark, sf2, parts):
+    docs = spark.read.parquet(f"{sf2}/documents.parquet").repartition(parts)
+    r = pk.pack(docs, pk.tokenizer_path()).selectExpr("count(distinct sequence_id) n", "sum(length) / 2048 least").first()
     assert r.n <= 1.01 * float(r.least) + 1
+
+
+def test_texts_of_megabytes(spark, docs_of, tokenizer, words):
+    rng = random.Random(3)
+    texts = ["a" * 1_500_000, " ".join(rng.choice(words) for _ in range(400_000)), "x1é" * 200_000]
+    got = pk.pack(docs_of(list(enumerate(texts))), pk.tokenizer_path()).groupBy("doc_id").agg({"length": "sum", "piece": "max"}).collect()
+    want = {i: len(tokenizer.encode(t, add_special_tokens=False).ids) + 1 for i, t in enumerate(texts)}
+    assert {r.doc_id: r["sum(length)"] for r in got} == want
+    assert all(r["max(piece)"] == (want[r.doc_id] - 1) // 2048 for r in got)
