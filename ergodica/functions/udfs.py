@@ -2,11 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pandas as pd
-import pyarrow as pa
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -31,7 +28,7 @@ def axpy(c: Column | float, a: Column, b: Column) -> Column:
 @F.pandas_udf(T.DoubleType())
 def combine(x: pd.Series, c: pd.Series) -> pd.Series:
     """A basis row (array) times small coefficients (array)."""
-    return pd.Series([float(np.dot(a, b)) for a, b in zip(x, c, strict=True)])
+    return pd.Series((np.stack(x.to_numpy()) * np.stack(c.to_numpy())).sum(axis=1)) if len(x) else pd.Series([], dtype=float)
 
 
 @F.pandas_udf(T.ArrayType(T.DoubleType()))
@@ -74,21 +71,18 @@ class Stationary:
 
 
 class ReleaseSiteMoves:
-    """(closed, open, inact, cinact, ions, channels, capacity, speed) -> (dst, prob): a state's exits, row by row."""
+    """(closed, open, inact, cinact, ions, channels, capacity, speed) -> (dst, prob): a state's exits at the default rates.
+
+    A surface for SQL, row by row in Python; ``synthetic.release_site_moves`` is the same as an expression, for anything large.
+    """
 
     def eval(self, closed: int, open_: int, inact: int, cinact: int, ions: int, channels: int, capacity: int, speed: float):
-        from ..sources.synthetic import Rates
-
-        r, x, b = Rates(), ions / capacity, channels + 1
-        opening, inactivation = r.open_base + x * x, r.inactivate * (r.open_base + x)
-        moves = [
-            (1, 0, 0, 0, closed * opening), (-1, 0, 0, 0, open_ * r.close), (0, 1, -1, 0, cinact * opening), (0, -1, 1, 0, inact * r.close),
-            (-1, 1, 0, 0, open_ * inactivation), (1, -1, 0, 0, inact * r.recover), (0, 0, 1, 0, closed * inactivation), (0, 0, -1, 0, cinact * r.recover),
-            (0, 0, 0, 1, (r.influx + r.release * open_) * capacity if ions < capacity else 0.0), (0, 0, 0, -1, r.loss * ions), (0, 0, 0, 0, 0.0),
-        ]
-        stay = 1 - sum(m[4] for m in moves) / speed
-        for a, c, d, e, rate in moves:
-            p = stay if (a, c, d, e) == (0, 0, 0, 0) else rate / speed
+        from ..sources.synthetic import Rates, moves_of
+
+        b = channels + 1
+        moves = moves_of(closed, open_, inact, cinact, ions, capacity, Rates(), lambda condition, value: value if condition else 0.0)
+        stay = 1 - sum(rate for _, rate in moves) / speed
+        for (a, c, d, e), p in [(m, rate / speed) for m, rate in moves] + [((0, 0, 0, 0), stay)]:
             if p > 0:
                 yield (((open_ + a) * b + inact + c) * b + cinact + d) * (capacity + 1) + ions + e, p
 
@@ -101,13 +95,3 @@ def register(spark: SparkSession) -> None:
     spark.udf.register("stationary_of", stationary_of)
     spark.udtf.register("stationary", F.udtf(Stationary, returnType="state bigint, pi double, iterations bigint, residual double, chain_id bigint"))
     spark.udtf.register("release_site_moves", F.udtf(ReleaseSiteMoves, returnType="dst bigint, prob double"))
-
-
-def local_qr(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """For ``mapInArrow``: the triangle of a partition's rows (all columns), flattened, with its size."""
-    r = None
-    for batch in batches:
-        rows = np.column_stack([c.to_numpy(zero_copy_only=False) for c in batch.columns])
-        r = np.linalg.qr(rows if r is None else np.vstack([r, rows]), mode="r")
-    if r is not None:
-        yield pa.RecordBatch.from_arrays([pa.array([r.reshape(-1).tolist()], pa.list_(pa.float64())), pa.array([r.shape[1]], pa.int32())], names=["r", "m"])

@@ -72,6 +72,6 @@ def to_wide(long: DataFrame, width: int) -> DataFrame:
     return long.groupBy("state").pivot("column", list(range(width))).agg(F.sum("x")).select("state", *(F.coalesce(F.col(f"`{j}`"), F.lit(0.0)).alias(f"x{j}") for j in range(width)))
 
 
-def mass(block: DataFrame) -> list[float]:
-    r = block.agg(*(F.sum(c).alias(c) for c in columns(width_of(block)))).first()
+def mass(block: DataFrame, cols: list[str] | None = None) -> list[float]:
+    r = block.agg(*(F.sum(c).alias(c) for c in cols or columns(width_of(block)))).first()
     return [float(x or 0.0) for x in r]

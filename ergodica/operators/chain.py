@@ -16,7 +16,8 @@ class Chain:
     """edges (src, dst, prob); states (state, label) or None; scalars that need no edges of their own.
 
     ``follow`` < 1 restarts with ``1 - follow`` at ``preference`` (state, share; None: uniform). ``dangling`` names states
-    (state) whose whole mass is spread uniformly. Neither is ever stored as edges.
+    (state) whose whole mass is spread uniformly. Neither is ever stored as edges. ``size``, the number of states, is counted once by the solvers;
+    ``hubs`` (src, salts) belongs to edges with a column ``salt`` (``plans.layout``).
     """
 
     edges: DataFrame
@@ -25,6 +26,8 @@ class Chain:
     preference: DataFrame | None = None
     dangling: DataFrame | None = None
     name: str = "chain"
+    size: int | None = None
+    hubs: DataFrame | None = None
 
     def nodes(self) -> DataFrame:
         if self.states is not None:

@@ -22,7 +22,7 @@ class ResidualStop:
 
 def residual_table(chain: Chain | MatrixFreeChain, v: DataFrame) -> DataFrame:
     """One row: residual = ||P^T v - v|| / ||v||; v: state, x0 (any scale)."""
-    moved = propagate(chain, v).withColumnRenamed("x0", "y")
+    moved = propagate(chain, v, probabilities=False).withColumnRenamed("x0", "y")
     both = v.join(moved, "state", "full_outer").select(F.coalesce("x0", F.lit(0.0)).alias("x"), F.coalesce("y", F.lit(0.0)).alias("y"))
     d = F.col("y") - F.col("x")
     return both.agg((F.sqrt(F.sum(d * d)) / F.sqrt(F.sum(F.col("x") * F.col("x")))).alias("residual"))

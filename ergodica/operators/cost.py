@@ -20,14 +20,15 @@ class CostLedger:
     extraction_seconds: float = 0.0
     seconds: float = 0.0
 
-    def step(self, width: int, many: int = 1) -> None:
+    def step(self, width: int, many: int = 1, scans: int = 1) -> None:
+        """``many`` steps of a block; ``scans``: of the transitions in one step, more than one where columns go by themselves or in chunks."""
         self.iterations += many
-        self.passes += many
+        self.passes += many * scans
         self.matvecs_core += many * width
         self.matvecs_all += many * width
 
-    def extra_pass(self, columns: int) -> None:
-        self.passes += 1
+    def extra_pass(self, columns: int, scans: int = 1) -> None:
+        self.passes += scans
         self.matvecs_all += columns
 
     def as_dict(self) -> dict:

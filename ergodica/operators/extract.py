@@ -21,9 +21,9 @@ def _stack(parts: list[bytes], m: int) -> np.ndarray:
 
 
 def tsqr(df: DataFrame, cols: list[str], fan: int = FAN) -> np.ndarray:
-    """The R of the QR of a tall matrix with rows in ``df``: each task reduces its rows to a triangle, tasks combine
-    ``fan`` triangles each until at most ``fan`` are left for the driver."""
-    m = len(cols)
+    """The R of the QR of a tall matrix with rows in ``df``: each task reduces its rows to a triangle (as many as there are shuffle
+    partitions, at most), tasks combine ``fan`` triangles each until at most ``fan`` are left for the driver."""
+    m, level = len(cols), int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         r = np.zeros((0, m))
@@ -36,7 +36,7 @@ def tsqr(df: DataFrame, cols: list[str], fan: int = FAN) -> np.ndarray:
     def merge(t: pa.Table) -> pa.Table:
         return pa.table([pa.array([np.linalg.qr(_stack(t.column("r").to_pylist(), m), mode="r").tobytes()], pa.binary())], names=["r"])
 
-    parts, level = df.select(*cols).mapInArrow(local, "r binary"), df.rdd.getNumPartitions()
+    parts = df.select(*cols).coalesce(level).mapInArrow(local, "r binary")
     while level > fan:
         level = -(-level // fan)
         parts = parts.withColumn("g", F.pmod(F.spark_partition_id(), F.lit(level))).groupBy("g").applyInArrow(merge, "r binary")

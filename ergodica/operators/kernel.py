@@ -17,6 +17,9 @@ from . import smalldense
 from .cost import CostLedger
 
 DENSE = 1200  # states up to which steps are dense products (and runs of steps one product)
+SLOTS = 16  # entries of one row of a gather list
+CACHE_DOUBLES = 1 << 15  # of a partial sum
+TASK_EDGES = 50_000_000  # transitions that one task may hold (some 1.2 GB)
 
 
 @dataclass
@@ -31,29 +34,86 @@ class LocalResult:
     least: float = 0.0  # the smallest entry before clipping
 
 
+class Slots:
+    """Gather lists of a sparse ``P^T``: states are grouped by their number of entries, so a group's sums are a few whole-array
+    products, a slot at a time; a state with more than ``SLOTS`` entries has several rows, summed at the end.
+
+    A column of a block then costs no more than a lone vector: rows of the block are read whole, and partial sums stay in cache.
+    """
+
+    def __init__(self, src: np.ndarray, dst: np.ndarray, prob: np.ndarray, n: int):
+        order = np.argsort(dst, kind="stable")
+        src, prob, dst = src[order], prob[order], dst[order]
+        many = np.bincount(dst, minlength=n)
+        rows = -(-many // SLOTS)
+        self.n, self.first = n, np.cumsum(rows) - rows
+        at = np.arange(len(dst)) - (np.cumsum(many) - many)[dst]
+        row = self.first[dst] + at // SLOTS
+        state = np.repeat(np.arange(n), rows)
+        size = np.bincount(row, minlength=len(state))
+        start = np.cumsum(size) - size
+        hubs = rows > 1
+        self.hubs = np.flatnonzero(hubs)
+        place = np.where(hubs[state], -1, state)
+        spot = np.cumsum(hubs[state]) - 1  # of a hub's row among such rows
+        self.extra, self.heads = int(hubs[state].sum()), spot[self.first[self.hubs]] if len(self.hubs) else np.zeros(0, np.int64)
+        self.groups = []
+        for k in range(1, SLOTS + 1):
+            of_size = np.flatnonzero(size == k)
+            for own, to in ((of_size[place[of_size] >= 0], place), (of_size[place[of_size] < 0], spot)):
+                if len(own):
+                    idx = start[own][None, :] + np.arange(k)[:, None]
+                    self.groups.append((to is spot, to[own], np.ascontiguousarray(src[idx]), np.ascontiguousarray(prob[idx])))
+        self.src, self.dst, self.prob = src, dst, prob
+
+    def step(self, x: np.ndarray) -> np.ndarray:
+        width = x.shape[1]
+        if width <= 8:  # lone vectors, one after the other
+            return np.stack([np.bincount(self.dst, self.prob * v[self.src], self.n) for v in np.ascontiguousarray(x.T)], axis=1)
+        out, part = np.zeros((self.n, width)), np.empty((self.extra, width))
+        chunk = max(64, CACHE_DOUBLES // width)
+        gathered, total = np.empty((chunk, width)), np.empty((chunk, width))
+        for hub, to, src, prob in self.groups:
+            target = part if hub else out
+            for a in range(0, len(to), chunk):
+                b = min(a + chunk, len(to))
+                t, g = total[: b - a], gathered[: b - a]
+                for j in range(len(src)):
+                    into = g if j else t
+                    np.take(x, src[j, a:b], axis=0, out=into, mode="clip")
+                    into *= prob[j, a:b, None]
+                    if j:
+                        t += g
+                target[to[a:b]] = t
+        if self.extra:
+            out[self.hubs] = np.add.reduceat(part, self.heads, axis=0)
+        return out
+
+
 class Operator:
-    """``P^T`` on row blocks, states numbered 0 .. n-1."""
+    """``P^T`` on row blocks, states numbered 0 .. n-1, with restarts at ``preference`` (by default anywhere) and ``dangling`` states, whose mass is spread over all."""
 
-    def __init__(self, src: np.ndarray, dst: np.ndarray, prob: np.ndarray, n: int, follow: float = 1.0, preference: np.ndarray | None = None):
+    def __init__(self, src: np.ndarray, dst: np.ndarray, prob: np.ndarray, n: int, follow: float = 1.0, preference: np.ndarray | None = None, dangling: np.ndarray | None = None):
         self.n, self.follow = n, follow
         self.preference = np.full(n, 1 / n) if preference is None else preference
+        self.dangling = np.flatnonzero(dangling) if dangling is not None else np.zeros(0, np.int64)
         self.dense = None
         if n <= DENSE:
             self.dense = np.zeros((n, n))
             np.add.at(self.dense, (dst, src), prob)
+            self.dense[:, self.dangling] += 1 / n
             if follow < 1:
                 self.dense = follow * self.dense + (1 - follow) * self.preference[:, None]
             self.runs: dict[int, np.ndarray] = {}
         else:
-            order = np.argsort(dst, kind="stable")
-            self.src, self.prob, self.to = src[order], prob[order], dst[order]
-            self.heads = np.flatnonzero(np.diff(self.to, prepend=-1))
+            self.slots = Slots(src, dst, prob, n)
 
     def step(self, x: np.ndarray) -> np.ndarray:
         if self.dense is not None:
             return self.dense @ x
-        out = np.zeros_like(x)
-        out[self.to[self.heads]] = np.add.reduceat(self.prob[:, None] * x[self.src], self.heads, axis=0)
+        out = self.slots.step(x)
+        if len(self.dangling):
+            out += x[self.dangling].sum(axis=0) / self.n
         return out if self.follow == 1 else self.follow * out + (1 - self.follow) * self.preference[:, None] * x.sum(axis=0)
 
     def run(self, x: np.ndarray, steps: int) -> np.ndarray:
@@ -77,17 +137,20 @@ def start_block(n: int, width: int, seed: int = 0, kind: str = "random") -> np.n
 
 def solve_arrays(
     src: np.ndarray, dst: np.ndarray, prob: np.ndarray, width: int = 1, depth: int = 1, tol: float = 1e-10, check_every: int | str = 10, max_iter: int = 200_000,
-    seed: int = 0, start: np.ndarray | str = "random", extract: str = "min_residual", image: str = "shifted", rank_rtol: float = smalldense.RANK_RTOL,
+    seed: int = 0, start: np.ndarray | str = "random", extract: str = "min_residual", image: str | None = None, rank_rtol: float = smalldense.RANK_RTOL,
     follow: float = 1.0, states: np.ndarray | None = None, method: str = "block", chain: str = "chain", truth: np.ndarray | None = None,
+    preference: np.ndarray | None = None, dangling: np.ndarray | None = None, on_limit: str = "return",
 ) -> LocalResult:
     """Power (width 1, depth 1), block, window and window-block methods; stops on the residual, or on the distance to ``truth`` if given.
 
-    ``method='subspace'`` orthonormalises after every step (the general method).
+    ``method='subspace'`` orthonormalises after every step (the general method). ``image``: see ``smalldense.image_of``. ``preference`` (shares)
+    and ``dangling`` (marks) follow the rising states. ``on_limit='raise'`` raises where ``max_iter`` steps are not enough.
     """
     began = time.perf_counter()
+    image = smalldense.image_of(extract, image)
     found = np.unique(np.concatenate([src, dst])) if states is None else np.sort(states)
     n = len(found)
-    op = Operator(np.searchsorted(found, src), np.searchsorted(found, dst), prob, n, follow)
+    op = Operator(np.searchsorted(found, src), np.searchsorted(found, dst), prob, n, follow, preference, dangling)
     x = start_block(n, width, seed, start) if isinstance(start, str) else start
     ledger, log = CostLedger(), []
     every, ring, k, converged = check_every if isinstance(check_every, int) else 4, [x], 0, False
@@ -132,6 +195,8 @@ def solve_arrays(
             break
         if check_every == "adaptive":
             every = _next_check(log, tol, k)
+    if not converged and on_limit == "raise":
+        raise RuntimeError(f"{chain}: no convergence in {k} steps, residual {log[-1]['residual'] if log else 1.0:.3g}")
     total = v.sum()
     pi = v / total if abs(total) > 1e-300 else np.full(n, 1 / n)
     least = float(pi.min())
@@ -148,12 +213,23 @@ def _next_check(log: list[dict], tol: float, k: int) -> int:
     return max(4, k)
 
 
+def task_edges(t: pa.Table) -> list[np.ndarray]:
+    """src, dst, prob of a chain that one task holds; chains beyond the bound are for the distributed solvers."""
+    if t.num_rows > TASK_EDGES:
+        raise ValueError(f"{t.num_rows} transitions are more than one task takes ({TASK_EDGES})")
+    return [t.column(c).to_numpy() for c in ("src", "dst", "prob")]
+
+
 def solve_batch(edges: DataFrame, by: str = "chain_id", **options) -> DataFrame:
-    """Edges with a chain column to (by, state, pi, iterations, residual): one task solves a chain from start to end."""
+    """Edges with a chain column to (by, state, pi, iterations, residual): one task solves a chain from start to end.
+
+    Raises where ``max_iter`` steps are not enough (``on_limit='return'``: see the residual), and if a chain has more than ``TASK_EDGES`` edges.
+    """
+    options = {"on_limit": "raise"} | options
     kind = edges.schema[by].dataType.simpleString()
 
     def one(t: pa.Table) -> pa.Table:
-        src, dst, prob = (t.column(c).to_numpy() for c in ("src", "dst", "prob"))
+        src, dst, prob = task_edges(t)
         r = solve_arrays(src, dst, prob, **options)
         n = len(r.states)
         return pa.table([pa.array([t.column(by)[0].as_py()] * n, t.schema.field(by).type), pa.array(r.states, pa.int64()), pa.array(r.pi), pa.array([r.ledger.iterations] * n, pa.int64()), pa.array([r.residual] * n)], names=[by, "state", "pi", "iterations", "residual"])
@@ -167,14 +243,13 @@ LOG_SCHEMA = "chain string, method string, width int, depth int, iteration long,
 def sweep(edges: DataFrame, grid: list[dict], name: str = "chain", **options) -> DataFrame:
     """The convergence logs of many settings on one chain, each setting a task of its own: edges are sent once a setting.
 
-    grid: keyword arguments of ``solve_arrays``; a chain must fit a task.
+    grid: keyword arguments of ``solve_arrays``, a driver-side list; a chain of more than ``TASK_EDGES`` edges raises.
     """
-    spark = edges.sparkSession
-    ids = spark.createDataFrame([(i,) for i in range(len(grid))], "run int")
-    sent = edges.select("src", "dst", "prob").crossJoin(F.broadcast(ids))  # a stated, driver-side list of settings
+    runs = F.explode(F.sequence(F.lit(0), F.lit(len(grid) - 1))).alias("run")
+    sent = edges.select(runs, "src", "dst", "prob")
 
     def one(t: pa.Table) -> pa.Table:
-        src, dst, prob = (t.column(c).to_numpy() for c in ("src", "dst", "prob"))
+        src, dst, prob = task_edges(t)
         r = solve_arrays(src, dst, prob, chain=name, **(options | grid[t.column("run")[0].as_py()]))
         names = [x.split()[0] for x in LOG_SCHEMA.split(", ")]
         types = {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "double": pa.float64()}

@@ -22,6 +22,15 @@ class Extraction:
     values: np.ndarray  # all Ritz values or singular values
 
 
+def image_of(extract: str, image: str | None) -> str:
+    """``shifted`` (the window one step on, no pass of its own) or ``explicit`` (one pass more, on an orthonormal basis).
+
+    By default what the extraction needs: the least residual lives with nearly parallel columns; Ritz values lose the digits that decide
+    the rate to them, so they get the product of an orthonormal basis.
+    """
+    return image or ("explicit" if extract.startswith("ritz") else "shifted")
+
+
 def triangle(w: np.ndarray, z: np.ndarray) -> np.ndarray:
     return np.linalg.qr(np.hstack([w, z]), mode="r")
 

@@ -2,28 +2,34 @@
 
 A pass is one join and one aggregation; ``fuse`` passes share a plan, whose result is written to the shared folder to cut
 the lineage (executors may be lost at any time). Between checks only the last block is kept; the last ``depth`` blocks before a
-check are kept as a window. The image of a window is the window one step on, so extraction needs no pass of its own.
+check are kept as a window; older ones are removed. The image of a window is the window one step on, so extraction needs no pass of its own.
+
+A block within the planner's broadcast bound meets the edges where they lie. Beyond it, edges are laid out once (``plans.layout``), blocks are
+tables bucketed by state, and the one shuffle of a pass is that of its partial sums.
 """
 
 from __future__ import annotations
 
+import json
 import time
-from dataclasses import dataclass
+from collections.abc import Callable
+from dataclasses import dataclass, replace
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..sources.tables import CONVERGENCE_SCHEMA
-from ..sources.work import written
+from ..sources.work import bucketed, discard, written
 from . import block as blocks
 from .chain import Chain, MatrixFreeChain
 from .convergence import ResidualStop, residual
 from .cost import CostLedger
 from .extract import combine, extract_window, tsqr
-from .kernel import _next_check, solve_arrays
-from .smalldense import truncate
-from .step import propagate, propagate_columns
+from .kernel import _next_check, solve_arrays, task_edges
+from .smalldense import image_of, truncate
+from .step import CHUNK, propagate, propagate_columns, scans
 
 
 @dataclass
@@ -51,24 +57,42 @@ def finish(chain: Chain | MatrixFreeChain, v: DataFrame) -> tuple[DataFrame, flo
     if least is not None and least < 0:
         again, = clipped.agg(F.sum("pi")).first()
         clipped = clipped.select("state", (F.col("pi") / F.lit(float(again))).alias("pi"))
-    pi = chain.labelled(clipped) if isinstance(chain, Chain) else clipped.select("state", F.col("state").cast("string").alias("label"), "pi")
+    full = chain.nodes().join(clipped, "state", "left").select("state", F.coalesce("pi", F.lit(0.0)).alias("pi"))  # states that nothing enters
+    pi = chain.labelled(full) if isinstance(chain, Chain) else full.select("state", F.col("state").cast("string").alias("label"), "pi")
     return pi, float(least or 0.0)
 
 
+def _ready(chain: Chain | MatrixFreeChain, width: int, join: str | None) -> tuple[Chain | MatrixFreeChain, str, Callable[[DataFrame], DataFrame]]:
+    """(the chain with its states counted and, if its blocks are too large to broadcast, its edges laid out; the join; how blocks are kept)."""
+    from ..plans import layout, planner
+
+    if isinstance(chain, Chain):
+        states = chain.states if chain.states is not None else written(chain.nodes().select("state", F.col("state").cast("string").alias("label")), "nodes")
+        chain = replace(chain, states=states, size=states.count())
+    join = join or planner.choose_join(chain.size if isinstance(chain, Chain) else chain.rows.count(), min(width, CHUNK))
+    if join == "broadcast" or isinstance(chain, MatrixFreeChain):
+        return chain, join, lambda b: written(b, "block")
+    n = int(chain.edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return (chain if chain.hubs is not None else layout.laid_out(chain)), join, lambda b: bucketed(b, ["state"], n, "block")
+
+
 def iterate(
     chain: Chain | MatrixFreeChain, width: int = 1, depth: int = 1, tol: float = 1e-10, check_every: int | str = 10, max_iter: int = 1000, seed: int = 0,
-    start: str | DataFrame = "random", extract: str = "min_residual", image: str = "shifted", rank_rtol: float = 1e-13, fuse: int = 5, layout: str = "rows",
+    start: str | DataFrame = "random", extract: str = "min_residual", image: str | None = None, rank_rtol: float = 1e-13, fuse: int = 5, layout: str = "rows",
     join: str | None = None, method: str = "block", on_limit: str = "return",
 ) -> StationaryResult:
-    """The loop all distributed methods share."""
+    """The loop all distributed methods share. ``join`` None: the planner's choice by the counted size of a block."""
     began, ledger, rows = time.perf_counter(), CostLedger(), []
+    image = image_of(extract, image)
+    chain, join, keep = _ready(chain, width, join)
     nodes = chain.nodes()
     spark = nodes.sparkSession
-    x = written(blocks.start(nodes, width, seed, start) if isinstance(start, str) else blocks.user_start(nodes, start), "block")
+    x = keep(blocks.start(nodes, width, seed, start) if isinstance(start, str) else blocks.user_start(nodes, start))
     move = propagate_columns if layout == "columns" else lambda c, b: propagate(c, b, join)
     every, k, converged, stop = check_every if isinstance(check_every, int) else 4, 0, False, ResidualStop(tol)
-    found, vector, res = None, x, 1.0
+    found, vector, res, ring = None, x, 1.0, [x]
     while k < max_iter:
+        discard(*ring[:-1])
         steps = min(every, max_iter - k)
         ring = [x]
         left = steps
@@ -76,26 +100,29 @@ def iterate(
             some = min(fuse, left - depth)
             for _ in range(some):
                 x = move(chain, x)
-            x = written(x, "block")
+            x = keep(x)
+            discard(*ring)
             ring, left = [x], left - some
         for _ in range(left):
-            x = written(move(chain, x), "block")
+            x = keep(move(chain, x))
+            discard(*ring[: len(ring) - depth])
             ring = [*ring[-depth:], x]
         k += steps
-        ledger.step(width, steps)
+        ledger.step(width, steps, scans(width, layout))
         t = time.perf_counter()
         if image == "explicit":
-            basis = ring[-depth:]
-            wide, names = _window(basis)
+            wide, names = _window(ring[-depth:])
             cols = blocks.columns(len(names))
             norms = wide.agg(*(F.sqrt(F.sum(F.col(c) * F.col(c))).alias(c) for c in cols)).first()
             scale = np.array([max(float(norms[c] or 0.0), 1e-300) for c in cols])
             unit = combine(wide, np.diag(1 / scale), cols)
             c, kept = truncate(tsqr(unit, cols), rank_rtol)
-            q = written(combine(unit, c, cols), "basis")  # orthonormal: its image keeps the digits
-            moved = written(move(chain, q), "image")
-            ledger.extra_pass(kept)
+            q = keep(combine(unit, c, cols))  # orthonormal: its image keeps the digits
+            moved = keep(propagate(chain, q, join, probabilities=False))
+            ledger.extra_pass(kept, scans(kept))
             found, vector = extract_window([q], extract, moved, rank_rtol)
+            vector = written(vector, "vector")
+            discard(q, moved)
         else:
             found, vector = extract_window(ring, extract, None, rank_rtol)
         ledger.extractions += 1
@@ -113,6 +140,8 @@ def iterate(
             every = _next_check(rows, tol, k)
     if not converged and on_limit == "raise":
         raise RuntimeError(f"no convergence in {max_iter} steps: residual {res:.3g}")
+    vector = written(vector, "vector")
+    discard(*ring)
     pi, least = finish(chain, vector)
     ledger.seconds = time.perf_counter() - began
     return StationaryResult(pi, log_frame(spark, rows), ledger, converged, float(res), found.rank if found else 1, least, vector)
@@ -150,13 +179,16 @@ def subspace(chain: Chain | MatrixFreeChain, width: int, eigenpairs: int | None
     """
     began, ledger, rows = time.perf_counter(), CostLedger(), []
     want = eigenpairs or width
+    chain, join, keep = _ready(chain, width, None)
     nodes = chain.nodes()
-    x = written(blocks.start_orthonormal(nodes, width, seed), "block")
+    x, z = keep(blocks.start_orthonormal(nodes, width, seed)), None
     cols = blocks.columns(width)
     values, vectors, res, converged = np.ones(1), np.eye(width), np.ones(want), False
     for k in range(1, max_iter + 1):
-        z = written(propagate(chain, x), "block")
-        ledger.step(width)
+        old, z = z, keep(propagate(chain, x, join, probabilities=False))
+        if old is not None:
+            discard(old)
+        ledger.step(width, 1, scans(width))
         joined, names = _pair(x, z)
         r = tsqr(joined, names[0] + names[1])
         r = np.vstack([r, np.zeros((max(0, 2 * width - r.shape[0]), 2 * width))])
@@ -175,7 +207,7 @@ def subspace(chain: Chain | MatrixFreeChain, width: int, eigenpairs: int | None
         if np.linalg.cond(rz) > 1e6:  # a second round restores orthogonality
             x = written(x, "block")
             x = combine(x, np.linalg.pinv(tsqr(x, cols)), cols)
-        x = written(x, "block")
+        x = keep(x)
     y = np.real(vectors[:, 0] * np.conj(vectors[np.argmax(np.abs(vectors[:, 0])), 0]))
     vector = combine(x, (y / np.linalg.norm(y))[:, None], cols, ["x0"])
     pi, least = finish(chain, vector)
@@ -191,22 +223,42 @@ def _pair(x: DataFrame, z: DataFrame) -> tuple[DataFrame, list[list[str]]]:
 
 
 def solve_local(chain: Chain, **options) -> StationaryResult:
-    """A chain within the planner's local budget: its edges go to one task's worth of numpy on the driver's request."""
-    spark = chain.edges.sparkSession
-    t = chain.edges.select("src", "dst", "prob").toArrow()
-    states = np.sort(chain.nodes().toArrow().column("state").to_numpy())
-    r = solve_arrays(*(t.column(c).to_numpy() for c in ("src", "dst", "prob")), states=states, follow=chain.follow, chain=chain.name, **options)
-    pi = spark.createDataFrame([(int(s), float(p)) for s, p in zip(r.states, r.pi, strict=True)], "state long, pi double")
-    return StationaryResult(chain.labelled(pi), log_frame(spark, r.log), r.ledger, r.converged, r.residual, r.rank, r.least)
+    """A chain within the planner's local budget, solved in numpy by one task; restarts, preferences and dangling states go with it."""
+    null = lambda kind: F.lit(None).cast(kind)
+    sent = chain.edges.select(F.lit(0).alias("kind"), "src", "dst", "prob").unionByName(chain.nodes().select(F.lit(1).alias("kind"), F.col("state").alias("src"), null("long").alias("dst"), null("double").alias("prob")))
+    if chain.preference is not None:
+        sent = sent.unionByName(chain.preference.select(F.lit(2).alias("kind"), F.col("state").alias("src"), null("long").alias("dst"), F.col("share").cast("double").alias("prob")))
+    if chain.dangling is not None:
+        sent = sent.unionByName(chain.dangling.select(F.lit(3).alias("kind"), F.col("state").alias("src"), null("long").alias("dst"), null("double").alias("prob")))
+    follow, name, given, lost = chain.follow, chain.name, chain.preference is not None, chain.dangling is not None
+
+    def one(t: pa.Table) -> pa.Table:
+        kind = t.column("kind").to_numpy()
+        of = lambda k: t.filter(pa.array(kind == k))
+        states = np.unique(of(1).column("src").to_numpy())
+        preference = dangling = None
+        if given:
+            preference = np.zeros(len(states))
+            np.add.at(preference, np.searchsorted(states, of(2).column("src").to_numpy()), of(2).column("prob").to_numpy())
+        if lost:
+            dangling = np.isin(states, of(3).column("src").to_numpy())
+        r = solve_arrays(*task_edges(of(0)), states=states, follow=follow, chain=name, preference=preference, dangling=dangling, **options)
+        told = json.dumps({"log": r.log, "ledger": r.ledger.as_dict(), "converged": r.converged, "residual": r.residual, "rank": r.rank, "least": r.least}, default=float)
+        return pa.table([pa.array([None, *r.states.tolist()], pa.int64()), pa.array([None, *r.pi.tolist()], pa.float64()), pa.array([told] + [None] * len(states), pa.string())], names=["state", "pi", "told"])
+
+    solved = written(sent.withColumn("task", F.lit(0)).groupBy("task").applyInArrow(one, "state long, pi double, told string"), "solved")
+    r = json.loads(solved.where("told is not null").first().told)
+    pi = chain.labelled(solved.where("told is null").select("state", "pi"))
+    return StationaryResult(pi, log_frame(chain.edges.sparkSession, r["log"]), CostLedger(**r["ledger"]), r["converged"], r["residual"], r["rank"], r["least"])
 
 
 def solve(chain: Chain | MatrixFreeChain, width: int = 8, depth: int = 1, engine: str = "auto", **options) -> StationaryResult:
-    """``engine``: local, distributed, or auto by the planner's count of the edges."""
+    """``engine``: local (one task), distributed, or auto by the planner's count of the edges."""
     from ..plans.planner import choose_engine
 
     if engine == "auto":
         engine = choose_engine(chain)
     if engine == "local":
-        keep = {k: v for k, v in options.items() if k not in ("fuse", "layout", "join", "on_limit")}
+        keep = {k: v for k, v in options.items() if k not in ("fuse", "layout", "join")}
         return solve_local(chain.stored() if isinstance(chain, MatrixFreeChain) else chain, width=width, depth=depth, **keep)
     return iterate(chain, width, depth, **options)

@@ -9,10 +9,16 @@ from .chain import Chain
 from .convergence import predicted_iterations
 from .solve import subspace
 
+SPARE = 6  # columns beyond the eigenvalues asked for, which hasten them
+
 
 def leading(chain: Chain, width: int, want: int | None = None, tol: float = 1e-6, max_iter: int = 200) -> DataFrame:
-    """rank, re, im, magnitude, residual of the leading eigenvalues, by general subspace iteration."""
-    return subspace(chain, width, want or width, tol, max_iter)[1]
+    """rank, re, im, magnitude, residual of the leading ``want`` eigenvalues, by general subspace iteration on ``width`` columns (more of them
+    converge faster). Raises where ``max_iter`` steps do not bring every residual below ``tol``."""
+    solved, pairs = subspace(chain, width, want or width, tol, max_iter)
+    if not solved.converged:
+        raise RuntimeError(f"{chain.name}: {want or width} eigenvalues have not converged in {max_iter} steps")
+    return pairs
 
 
 def dense_spectrum(edges: DataFrame) -> np.ndarray:
@@ -50,9 +56,9 @@ def crowding(moduli: list[float]) -> float:
     return float(np.polyfit(x, y, 1)[0])
 
 
-def recommend(chain: Chain, max_width: int = 16, tol: float = 1e-10, passes: float | None = None, max_iter: int = 60) -> tuple[int, list[dict]]:
+def recommend(chain: Chain, max_width: int = 16, tol: float = 1e-10, passes: float | None = None, max_iter: int = 200) -> tuple[int, list[dict]]:
     """(width, table): the width with the fewest predicted matvecs, or (``passes`` given) the narrowest within so many passes."""
-    moduli = [r.magnitude for r in leading(chain, max_width + 1, tol=1e-4, max_iter=max_iter).collect()]
+    moduli = [r.magnitude for r in leading(chain, max_width + 1 + SPARE, max_width + 1, tol=1e-4, max_iter=max_iter).orderBy("rank").collect()]
     table = costs(moduli, tol)
     if passes is not None:
         within = [r["width"] for r in table if r["steps"] <= passes]

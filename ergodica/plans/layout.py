@@ -1,4 +1,4 @@
-"""How edges lie between passes: dealt by source once, sorted by destination, kept."""
+"""How edges lie between passes: dealt by source once, hubs over several buckets, kept."""
 
 from __future__ import annotations
 
@@ -9,10 +9,35 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.chain import Chain
+from ..sources.work import bucketed, written
+
+SALTS = 16
+
+
+def laid_out(chain: Chain, buckets: int | None = None, least_hub: int = 10_000) -> Chain:
+    """Edges as a table bucketed by source, as many buckets as shuffle partitions: passes move blocks and partial sums, never edges.
+
+    A source with more than a bucket's even share of the edges (and ``least_hub`` of them) is a hub: its edges are dealt by destination over
+    ``SALTS`` buckets. There are fewer hubs than buckets, so their table is small whatever the chain's size.
+    """
+    n = buckets or int(chain.edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    exits = chain.edges.groupBy("src").agg(F.count("*").alias("exits"))
+    most = max(least_hub, (exits.agg(F.sum("exits")).first()[0] or 0) // n)
+    hubs = written(exits.where(F.col("exits") > most).select("src", F.lit(SALTS).alias("salts")), "hubs")
+    edges = chain.edges.select("src", "dst", "prob")
+    if hubs.isEmpty():
+        return replace(chain, edges=bucketed(edges, ["src"], n, "edges"))
+    return replace(chain, edges=bucketed(salted_edges(edges, hubs), ["src", "salt"], n, "edges"), hubs=hubs)
+
+
+def salted_edges(edges: DataFrame, hubs: DataFrame) -> DataFrame:
+    """Edges with ``salt``: 0, or for sources in ``hubs`` (src, salts) a hash of the destination."""
+    marked = edges.join(F.broadcast(hubs), "src", "left")
+    return marked.withColumn("salt", F.when(F.col("salts").isNull(), 0).otherwise(F.pmod(F.xxhash64("dst"), F.col("salts"))).cast("int")).drop("salts")
 
 
 def prepare(chain: Chain, partitions: int | None = None, storage: str = "cached") -> Chain:
-    """cached: edges dealt by ``src`` and persisted (memory, then disk); scan: as they are, read at each pass."""
+    """cached: edges dealt by ``src`` and persisted (memory, then disk; rebuilt if an executor is lost); scan: as they are, read at each pass."""
     if storage == "scan":
         return chain
     n = partitions or int(chain.edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
@@ -20,20 +45,5 @@ def prepare(chain: Chain, partitions: int | None = None, storage: str = "cached"
     return replace(chain, edges=dealt.persist(StorageLevel.MEMORY_AND_DISK))
 
 
-def split_hubs(edges: DataFrame, block: DataFrame, most: int, salts: int = 16) -> tuple[DataFrame, DataFrame]:
-    """Sources with more than ``most`` exits spread over ``salts`` keys, and their block rows repeated: (edges with key, block with key)."""
-    hubs = edges.groupBy("src").count().where(F.col("count") > most).select("src", F.lit(True).alias("hub"))
-    e = edges.join(hubs, "src", "left").withColumn("salt", F.when(F.col("hub"), F.pmod(F.xxhash64("dst"), F.lit(salts))).otherwise(0).cast("int")).drop("hub")
-    b = block.join(hubs.withColumnRenamed("src", "state"), "state", "left")
-    b = b.withColumn("salt", F.explode(F.when(F.col("hub"), F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0))))).drop("hub")
-    return e, b
-
-
-def propagate_salted(edges: DataFrame, block: DataFrame, cols: list[str]) -> DataFrame:
-    """A pass over edges and block from ``split_hubs``."""
-    b = block.withColumnRenamed("state", "src")
-    return edges.join(b, ["src", "salt"]).groupBy(F.col("dst").alias("state")).agg(*(F.sum(F.col("prob") * F.col(c)).alias(c) for c in cols))
-
-
 def plan_text(df: DataFrame) -> str:
     return df._jdf.queryExecution().explainString(df.sparkSession._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted"))

@@ -11,8 +11,6 @@ BROADCAST_BYTES = 256 << 20  # of a block; beyond it edges and block meet by shu
 def choose_engine(chain: Chain | MatrixFreeChain, budget: int = LOCAL_EDGES) -> str:
     """local if a counted bound says that the chain fits a task; the count stops at the budget."""
     edges = chain.stored().edges if isinstance(chain, MatrixFreeChain) else chain.edges
-    if isinstance(chain, Chain) and (chain.dangling is not None or chain.preference is not None):
-        return "distributed"
     return "local" if edges.limit(budget + 1).count() <= budget else "distributed"
 
 

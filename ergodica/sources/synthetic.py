@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 from math import comb
 
@@ -48,15 +49,29 @@ def block_coupled(spark: SparkSession, groups: int, size: int, eps: float) -> Da
 
 @dataclass(frozen=True)
 class Rates:
-    """Own rates of the release site (x = ions / capacity); invented, not published ones."""
+    """Own rates of the release site (x = ions / capacity); invented, not published ones.
+
+    Opening: open_base + feedback x^2. Ions come at (influx + release * open channels) * capacity + influx_flat and go at loss * ions, and
+    loss_flat while there are any. The defaults pull the ions to a mean, so many modes are about equally slow.
+    """
 
     open_base: float = 0.04
+    feedback: float = 1.0
     close: float = 1.0
     inactivate: float = 0.02
+    inactivate_flat: float = 0.0
     recover: float = 0.02
     influx: float = 0.02
     release: float = 0.2
     loss: float = 0.1
+    influx_flat: float = 0.0
+    loss_flat: float = 0.0
+
+
+#: Ions wander freely: a few slow modes, then the channels' own, faster ones. Their number is equally often any.
+WANDERING = Rates(open_base=0.4, feedback=0.3, close=0.6, inactivate=0.0, inactivate_flat=0.2, recover=0.2, influx=0.0, release=0.0, loss=0.0, influx_flat=1.0, loss_flat=1.0)
+#: Ions are pumped out ten times as fast as they come: their number is geometric with ratio 0.1, whatever the capacity.
+PUMPED = Rates(open_base=0.1, feedback=0.1, close=0.1, inactivate=0.0, inactivate_flat=0.05, recover=0.05, influx=0.0, release=0.0, loss=0.0, influx_flat=0.1, loss_flat=1.0)
 
 
 def release_site_size(channels: int, capacity: int) -> int:
@@ -76,18 +91,23 @@ def release_site_states(spark: SparkSession, channels: int, capacity: int) -> Da
     return d.select(_state_id(F.col("open"), F.col("inact"), F.col("cinact"), F.col("ions"), channels, capacity).alias("state"), "closed", "open", "inact", "cinact", "ions")
 
 
-def _rates(channels: int, capacity: int, rates: Rates) -> list[tuple[tuple[int, int, int, int], Column]]:
-    """(change of open, inact, cinact, ions; rate of a state) for each kind of move."""
-    c, o, i, ci, ions = (F.col(x).cast("double") for x in ("closed", "open", "inact", "cinact", "ions"))
+def moves_of(c, o, i, ci, ions, capacity: int, rates: Rates, where: Callable) -> list[tuple[tuple[int, int, int, int], object]]:
+    """(change of open, inact, cinact, ions; rate) of each kind of move from a state; numbers and columns alike, with ``where(condition, value)`` for 0 elsewhere."""
     x = ions / capacity
-    opening, inactivation = rates.open_base + x * x, rates.inactivate * (rates.open_base + x)
+    opening = rates.open_base + rates.feedback * x * x
+    inactivation = rates.inactivate * (rates.open_base + x) + rates.inactivate_flat
     return [
         ((1, 0, 0, 0), c * opening), ((-1, 0, 0, 0), o * rates.close), ((0, 1, -1, 0), ci * opening), ((0, -1, 1, 0), i * rates.close),
         ((-1, 1, 0, 0), o * inactivation), ((1, -1, 0, 0), i * rates.recover), ((0, 0, 1, 0), c * inactivation), ((0, 0, -1, 0), ci * rates.recover),
-        ((0, 0, 0, 1), F.when(ions < capacity, (rates.influx + rates.release * o) * capacity).otherwise(0.0)), ((0, 0, 0, -1), rates.loss * ions),
+        ((0, 0, 0, 1), where(ions < capacity, (rates.influx + rates.release * o) * capacity + rates.influx_flat)), ((0, 0, 0, -1), where(ions > 0, rates.loss * ions + rates.loss_flat)),
     ]
 
 
+def _rates(channels: int, capacity: int, rates: Rates) -> list[tuple[tuple[int, int, int, int], Column]]:
+    c, o, i, ci, ions = (F.col(x).cast("double") for x in ("closed", "open", "inact", "cinact", "ions"))
+    return moves_of(c, o, i, ci, ions, capacity, rates, lambda condition, value: F.when(condition, value).otherwise(0.0))
+
+
 def release_site_speed(spark: SparkSession, channels: int, capacity: int, rates: Rates = Rates()) -> float:
     """1.02 times the largest total rate out of a state: what the chain is uniformised with. One aggregation."""
     total = sum((r for _, r in _rates(channels, capacity, rates)), F.lit(0.0))

@@ -17,6 +17,7 @@ from .sources.tables import load
 from .sources.work import written
 
 WIDTHS = [1, 2, 4, 8, 16, 32, 64, 128]
+DEPTHS = [1, 4, 8, 16, 32]
 
 
 def event_types(spark: SparkSession, d: str) -> Chain:
@@ -70,6 +71,11 @@ def hosts(spark: SparkSession, d: str) -> Chain:
     return chains.from_weights(host_weights(spark, d), "hosts")
 
 
+def directed_hosts(spark: SparkSession, d: str, follow: float = 0.85) -> Chain:
+    """From hosts to what their pages link to; link targets without pages of their own are dangling and spread, all restart anywhere."""
+    return chains.teleport(chains.fix_dangling(chains.from_weights(builders.host_links(load(spark, d, "pages")), "directed_hosts"), "uniform"), follow)
+
+
 def customer_supplier_weights(spark: SparkSession, d: str) -> DataFrame:
     li, o = load(spark, d, "lineitem"), load(spark, d, "orders")
     lines = li.select("l_orderkey", "l_suppkey").join(o.select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey"), "l_orderkey")
@@ -161,6 +167,14 @@ def grid_sweep(edges: DataFrame, widths: list[int], depths: list[int], name: str
     return sweep(edges, [{"width": w, "depth": t} for w in widths for t in depths], name, **options)
 
 
+def release_site_sweep(spark: SparkSession, channels: int, capacity: int, rates: synthetic.Rates, name: str, widths: list[int] = WIDTHS, depths: list[int] = DEPTHS) -> DataFrame:
+    """Every width alone, every depth with widths up to 16, and the method that orthonormalises after every step (``subspace``) beside them, written."""
+    edges = written(synthetic.release_site(spark, channels, capacity, rates), "edges")
+    grid = [{"width": w, "depth": 1} for w in widths] + [{"width": w, "depth": t} for w in widths if w <= 16 for t in depths if t > 1]
+    grid += [{"width": w, "method": "subspace"} for w in widths if 1 < w <= 16]
+    return written(sweep(edges, grid, name, check_every=10, seed=1, on_limit="raise"), "sweep")
+
+
 def extraction_ablation(edges: DataFrame, width: int, name: str, **options) -> DataFrame:
     return sweep(edges, [{"width": width, "extract": how, "method": how} for how in ("ritz_schur", "ritz_eig", "min_residual", "gram")], name, **options)
 

@@ -159,6 +159,31 @@ def test_sparse_kernel_equals_dense(monkeypatch):
     assert np.abs(follow.pi - solve_arrays(*edges(p), follow=0.85, seed=1).pi).max() < 1e-9
 
 
+@pytest.mark.parametrize("width", [1, 3, 8, 9, 40])
+def test_gather_lists_equal_the_matrix(width):
+    """Hubs with many entries, states with none, repeated pairs."""
+    from ergodica.operators.kernel import Slots
+
+    rng = np.random.default_rng(width)
+    n, m = 300, 4000
+    src, dst, prob = rng.integers(0, n, m), np.where(rng.random(m) < 0.3, rng.integers(0, 3, m), rng.integers(0, 200, m)), rng.random(m)
+    p = np.zeros((n, n))
+    np.add.at(p, (dst, src), prob)
+    x = rng.random((n, width))
+    assert np.allclose(Slots(src, dst, prob, n).step(x), p @ x, atol=1e-12)
+
+
+def test_ritz_extractions_keep_the_rate():
+    """A ring of 60 states with long excursions: eigen and Schur extractions need as many steps as the least residual, two checks more at most."""
+    p = 0.5 * np.eye(60) + 0.3 * np.roll(np.eye(60), 1, axis=1) + 0.2 * np.roll(np.eye(60), -1, axis=1)
+    p[0, 30:] += 0.2 / 30
+    p /= p.sum(axis=1, keepdims=True)
+    steps = {how: solve_arrays(*edges(p), width=8, extract=how, check_every=10, seed=1, on_limit="raise").ledger.iterations for how in ("min_residual", "ritz_eig", "ritz_schur")}
+    assert max(steps.values()) <= steps["min_residual"] + 20
+    with pytest.raises(RuntimeError):
+        solve_arrays(*edges(p), max_iter=10, on_limit="raise")
+
+
 def test_costs():
     assert saving(50_910_000, 4_000_000) == pytest.approx(92.14, abs=0.01) and storage(10, 2, 4) == 80
     assert predicted_iterations(0.99980009) == pytest.approx(115_170, rel=1e-3)

@@ -11,6 +11,7 @@ from ergodica.operators import chain as C
 from ergodica.plans import layout, planner
 from ergodica.sources import synthetic
 from ergodica.sources import tables as T
+from ergodica.sources.work import bucketed, written
 
 
 @pytest.fixture(scope="module")
@@ -175,9 +176,67 @@ def test_planner_and_plans(spark, coupled):
     x = block.start(coupled.nodes(), 2, 1)
     text = layout.plan_text(step.propagate(prepared, x, "broadcast"))
     assert "BroadcastHashJoin" in text and "CartesianProduct" not in text
-    e, b = layout.split_hubs(coupled.edges, x, 2, 4)
-    plain, salted = step.propagate(coupled, x), layout.propagate_salted(e, b, ["x0", "x1"])
-    assert plain.join(salted.withColumnsRenamed({"x0": "y0", "x1": "y1"}), "state").where("abs(x0 - y0) > 1e-14").isEmpty()
+
+
+@pytest.mark.parametrize("least_hub", [10_000, 2])
+def test_laid_out_edges_are_never_shuffled(spark, least_hub):
+    """Three passes: one exchange each, of partial sums; hubs add an exchange of the block, not of the edges."""
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    rows = [(0, j, 1 / 40) for j in range(1, 41)] + [(j, 0, 0.5) for j in range(1, 41)] + [(j, j % 40 + 1, 0.5) for j in range(1, 41)]
+    c = C.Chain(spark.createDataFrame(rows, "src long, dst long, prob double"))
+    laid = layout.laid_out(c, n, least_hub)
+    assert (laid.hubs is not None) == (least_hub == 2)
+    x = bucketed(block.start(c.nodes(), 2, 1), ["state"], n, "block")
+    y = step.advance(laid, x, 3, "shuffle_hash")
+    text = layout.plan_text(y)
+    edges_scan = [p for p in text.split("(") if "Scan parquet" in p and "ergodica_edges" in p and "Bucketed: true" in p]
+    assert edges_scan and "CartesianProduct" not in text
+    tree = text[: text.index("(1)  ") if "(1)  " in text else len(text)].splitlines()
+    for i, line in enumerate(tree):
+        if "ergodica_edges" in line:
+            depth = line.index("Scan")
+            above = next(x for x in reversed(tree[:i]) if "Join" in x)
+            assert not any("Exchange" in x for x in tree[tree.index(above) : i] if x.index(x.strip(" :+-*()0123456789")[:1]) < depth and "Broadcast" not in x)
+    if least_hub > 2:
+        assert text.split("\n\n")[0].count("Exchange") == 3
+    plain = step.advance(c, x, 3)
+    assert plain.join(y.withColumnsRenamed({"x0": "y0", "x1": "y1"}), "state").where("abs(x0 - y0) + abs(x1 - y1) > 1e-14").isEmpty() and plain.count() == y.count() == 41
+
+
+def test_work_is_discarded(spark, coupled, monkeypatch):
+    held = []
+    monkeypatch.setattr(solve, "written", lambda df, name="step": held.append(written(df, name)) or held[-1])
+    r = solve.window_block(coupled, 2, 2, check_every=6, max_iter=24, tol=0.0)
+    left = [h._ergodica_place[0] for h in held if "/block-" in h._ergodica_place[0]]
+    fs = lambda p: spark.sparkContext._jvm.org.apache.hadoop.fs.Path(p)
+    conf = spark.sparkContext._jsc.hadoopConfiguration()
+    assert len(left) > 8 and not any(fs(p).getFileSystem(conf).exists(fs(p)) for p in left)
+    assert abs(r.pi.agg(F.sum("pi")).first()[0] - 1) < 1e-9
+
+
+def test_local_equals_distributed_with_restart_and_dangling(spark):
+    """A ladder that restarts at its first state, and a chain with a state without exits and one that nothing enters."""
+    ladder = C.teleport(C.Chain(synthetic.birth_death(spark, 6)), 0.5, spark.createDataFrame([(0, 1.0)], "state long, share double"))
+    e = spark.createDataFrame([(0, 1, 1.0), (1, 2, 1.0), (3, 0, 0.5), (3, 1, 0.5)], "src long, dst long, prob double")
+    lost = C.fix_dangling(C.Chain(e), "uniform")
+    both = C.teleport(lost, 0.85, spark.createDataFrame([(3, 0.25), (1, 0.75)], "state long, share double"))
+    for c in (ladder, lost, both):
+        assert planner.choose_engine(c) == "local"
+        a, b = as_dict(solve.solve(c, 2, check_every=5).pi), as_dict(solve.solve(c, 2, engine="distributed", check_every=10, max_iter=60, on_limit="raise").pi)
+        close(a, b)
+    assert as_dict(solve.solve(ladder, 2, check_every=5).pi)[0] > 0.5
+    entered = C.Chain(spark.createDataFrame([(0, 1, 1.0), (1, 2, 0.5), (1, 1, 0.5), (2, 1, 1.0)], "src long, dst long, prob double"))
+    got = as_dict(solve.block_power(entered, 2, check_every=10, max_iter=60, on_limit="raise").pi)
+    close(got, {0: 0.0, 1: 2 / 3, 2: 1 / 3})
+    with pytest.raises(Exception, match="no convergence"):
+        solve.solve(C.Chain(synthetic.cycle(spark, 5)), 1, max_iter=20, on_limit="raise")
+
+
+def test_passes_count_scans(coupled):
+    r = solve.iterate(coupled, 3, 1, max_iter=4, check_every=4, layout="columns")
+    assert r.ledger.passes >= 12 and r.ledger.matvecs_core == 12
+    r = solve.iterate(coupled, 40, 1, max_iter=1, check_every=1, tol=0.0)
+    assert r.ledger.passes == 2
 
 
 def test_sources(spark, tmp_path, coupled):
@@ -335,5 +394,5 @@ def test_stream_joins_sessions_and_processor(spark, sf, tmp_path):
 
 
 def test_recommend_and_components_of_workloads(spark, sf2):
-    width, table = spectrum.recommend(W.regional(spark, sf2, 1e-3), 6, max_iter=6)
+    width, table = spectrum.recommend(W.regional(spark, sf2, 1e-3), 6)
     assert width == 5 and len(table) == 6
