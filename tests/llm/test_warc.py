@@ -1,5 +1,6 @@
 import base64
 import hashlib
+import io
 
 from ergodica.llm import warc
 
@@ -42,6 +43,37 @@ def test_broken_archive_is_noticed():
     import pytest
 
     record = b"WARC/1.0\r\nContent-Length: 3\r\n\r\nabc\r\n\r\n"
-    assert list(warc.parse(record * 2)) == [(record[:-7], b"abc")] * 2
+    assert list(warc.parse(io.BytesIO(record * 2))) == [(0, record[:-7], b"abc"), (len(record), record[:-7], b"abc")]
     with pytest.raises(ValueError):
-        list(warc.parse(record.replace(b"3", b"2")))
+        list(warc.parse(io.BytesIO(record.replace(b"3", b"2"))))
+
+
+def test_changed_payload_is_noticed(spark, tmp_path):
+    import gzip
+
+    import pytest
+
+    _, df = pages(spark)
+    warc.write(df.where("page_id = 4"), f"file://{tmp_path}/w", date="2024-01-01T00:00:00Z")
+    (one,) = [f for f in (tmp_path / "w").glob("*.gz") if gzip.open(f).read()]
+    data = gzip.open(one).read()
+    assert b"WARC-Date: 2024-01-01T00:00:00Z\r\n" in data and b"WARC-Block-Digest: sha256:" in data
+    with gzip.open(one, "wb") as f:
+        f.write(data.replace(b"Content-Length: 0\r\n\r\n", b"Content-Length: 1\r\n\r\nx"))
+    (tmp_path / "w" / f".{one.name}.crc").unlink(missing_ok=True)
+    with pytest.raises(Exception, match="SHA-256"):
+        warc.read(spark, f"file://{tmp_path}/w").collect()
+
+
+def test_hot_and_large_payloads(spark, tmp_path):
+    """A payload that half of the pages share, and pages of all size classes: each file within its bound."""
+    import gzip
+
+    rows = [(i, "hot" if i % 2 else f"page {i}") for i in range(3000)] + [(5000 + i, "x" * (100_000 + i)) for i in range(3)] + [(6000 + i, chr(97 + i) * 3_000_000) for i in range(2)]
+    df = spark.createDataFrame([(i, "u", h) for i, h in rows], "page_id long, url string, html string")
+    got = {r.page_id: r for r in warc.archive(df).collect()}
+    assert len(got) == len(rows) and all(got[i].payload_bytes == len(h) for i, h in rows)
+    assert {r.refers_to for r in got.values() if r.record_type == "revisit"} == {2999} and sum(r.record_type == "revisit" for r in got.values()) == 1499
+    warc.write(df.coalesce(1), f"file://{tmp_path}/w")
+    sizes = [[len(x) for _, _, x in warc.parse(gzip.open(f))] for f in (tmp_path / "w").glob("*.gz")]
+    assert sum(map(len, sizes)) == len(rows) and max(map(len, sizes)) <= 1024 and all(max(s) <= 64 << 10 or min(s) > 64 << 10 for s in sizes if s)
