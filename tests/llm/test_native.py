@@ -7,6 +7,8 @@ import re
 import pytest
 
 from ergodica.llm import decontaminate as dc
+from pyspark.sql import functions as F
+
 from ergodica.llm import queries, rules, urls
 
 
@@ -74,6 +76,48 @@ def test_dense_substitution_and_a_split_short_item(spark, docs_of):
     assert got == {0: 0, 1: 1, 2: None}
 
 
+@pytest.mark.parametrize("seed", range(2))
+def test_decontamination_is_the_rule_of_brute_force(spark, docs_of, words, odd, contaminates, seed):
+    """Items of 4 to 60 words, copied whole or in part, with words substituted, inserted and left out: every (document, item) as judged alone."""
+    from ergodica.llm import decontaminate as dc
+
+    rng = random.Random(seed)
+    some = words[:400]  # chance meetings too
+    text = lambda n: [rng.choice(some) for _ in range(n)]
+    items = [text(rng.choice((4, 10, 11, 15, 20, 38, 59))) for _ in range(12)]
+    rows = []
+    for k in range(90):
+        it = rng.choice(items)
+        a = rng.randrange(len(it))
+        part = it if rng.random() < 0.5 else it[a : a + rng.randint(3, len(it))]
+        part = [w if rng.random() > rng.choice((0, 0.1, 0.3, 0.5)) else rng.choice(some) for w in part]
+        if rng.random() < 0.4:
+            part.insert(rng.randrange(len(part) + 1), rng.choice(some))
+        if rng.random() < 0.3 and len(part) > 1:
+            part.pop(rng.randrange(len(part)))
+        rows.append((k, " ".join(text(rng.randint(0, 30)) + part + text(rng.randint(0, 30)))))
+    rows += [(200, " ".join(text(40_000)))] + [r for r in odd if r[0] is not None and r[0] != 105]
+    bench = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(items)] + [(50, None), (51, "")], "item_id long, text string")
+    got = {(r.doc_id, r.item_id) for r in dc.contaminations(docs_of(rows), bench).collect()}
+    want = {(d, i) for d, t in rows for i, it in enumerate(items) if contaminates(t, " ".join(it))}
+    assert got == want and len(want) > 30
+
+
+def test_public_suffixes_ports_and_users(spark):
+    rows = [("a.b.co.uk",), ("u@a.b.co.uk:80",), ("co.uk",), ("x.org:8080",), ("",), ("a..b",)]
+    d, s = urls.levels(F.col("host"), ["co.uk", "uk"])
+    plain = urls.levels(F.col("host"))
+    got = [tuple(r) for r in spark.createDataFrame(rows, "host string").select(d, s, plain[0]).collect()]
+    assert got == [("b.co.uk", "co.uk", "co.uk"), ("b.co.uk", "co.uk", "co.uk"), ("co.uk", "co.uk", "co.uk"), ("x.org", "org", "x.org"), ("", "", ""), (".b", "b", ".b")]
+
+
+def test_hot_host_is_not_gathered(spark):
+    """A host with most of the pages: its pages stay where they are."""
+    pages = spark.createDataFrame([(i, f"http://{'hot' if i % 3 else f'h{i}'}.org/{i}", "") for i in range(3000)], "page_id long, url string, html string")
+    got = urls.judge(pages, spark.createDataFrame([(i, int(i % 3 > 0)) for i in range(600)], "page_id long, bad int"), rules=())
+    assert got.count() == 3000 and got.where("host = 'hot.org' and verdict = 'block'").count() == 2000 and "BroadcastNestedLoopJoin" not in got._jdf.queryExecution().executedPlan().toString()
+
+
 def test_url_parts_and_rules(spark):
     rows = [
         (1, "http://A.Example.NET/en/x?y#z"), (2, "https://example.net"), (3, "https://x.net/fr/"), (4, "http://b.example.com/de/1"), (5, "http://b.example.com/d"), (6, "ftp://x.org/fr/a"), (7, "http://org?x=/fr/"),
