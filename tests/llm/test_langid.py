@@ -50,3 +50,34 @@ def test_padding_does_not_count():
     m = langid.ByteTagger(["a", "b"])
     p = m.pooled([b"abc", b"", b"abc" * 100])
     assert np.allclose(p[0].sum(), 1, atol=1e-5) and p[1].sum() == 0 and np.allclose(p[2].sum(), 1, atol=1e-5)
+
+
+def test_pooled_is_the_mean_over_bytes():
+    """Every byte labelled by plain loops over one unit after the other."""
+    import math
+
+    m = langid.ByteTagger(["a", "b", "c"], hidden=3, seed=2)
+    sig = lambda x: 1 / (1 + math.exp(-x))
+
+    def states(side, ids):
+        h, out = [0.0] * 3, {}
+        for t in range(len(ids)) if side == "f" else reversed(range(len(ids))):
+            x = m.w[f"in_{side}"][ids[t]]
+            g = [sig(x[k] + sum(h[j] * m.w[f"gate_{side}"][j, k] for j in range(3))) for k in range(6)]
+            c = [math.tanh(x[6 + k] + sum(g[j] * h[j] * m.w[f"cand_{side}"][j, k] for j in range(3))) for k in range(3)]
+            h = out[t] = [c[k] + g[3 + k] * (h[k] - c[k]) for k in range(3)]
+        return out
+
+    texts = [b"short", bytes(range(65, 130)) * 3, b"", b"x" * langid.SEGMENT]
+    got = m.pooled(texts, rows=2)
+    for text, p in zip(texts, got, strict=True):
+        total = [0.0] * 3
+        for a in range(0, len(text), langid.SEGMENT):
+            ids = list(text[a : a + langid.SEGMENT])
+            pad = ids + [256] * (langid.SEGMENT - len(ids))  # the last segment is read with its padding
+            f, b = states("f", pad), states("b", pad)
+            for t in range(len(ids)):
+                z = [m.w["bias"][k] + sum(v * m.w["out"][j, k] for j, v in enumerate(f[t] + b[t])) for k in range(3)]
+                e = [math.exp(v) for v in z]
+                total = [u + v / sum(e) for u, v in zip(total, e, strict=True)]
+        assert all(abs(u / max(1, len(text)) - v) < 1e-5 for u, v in zip(total, p, strict=True))
