@@ -50,6 +50,16 @@ def user_start(states: DataFrame, given: DataFrame) -> DataFrame:
     return scaled(states.select("state").join(given, "state", "left").select("state", *(F.coalesce(c, F.lit(0.0)).alias(c) for c in cols)))
 
 
+def warm_start(states: DataFrame, width: int, seed: int, given: DataFrame) -> DataFrame:
+    """``start`` with as many first columns as ``given`` (state, x0 ..) has replaced by its own, scaled to total 1; a column of zeros stays random."""
+    some = user_start(states, given)
+    names = columns(min(width, width_of(given)))
+    if any(m == 0 for m in mass(some, names)):
+        return start(states, width, seed)
+    both = start(states, width, seed).drop(*names).join(some.select("state", *names), "state")
+    return both.select("state", *columns(width))
+
+
 def start_orthonormal(states: DataFrame, width: int, seed: int = 0) -> DataFrame:
     from .extract import combine, tsqr
 

@@ -2,18 +2,22 @@
 
 from __future__ import annotations
 
+from functools import reduce
 from math import gcd
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.work import written
+from ..sources.work import discard, written
 from .block import columns, mass, width_of
 from .chain import Chain, detailed_balance
 from .extract import tsqr
 
 
+MERGE_LEVELS = 12
+
+
 def components(edges: DataFrame, nodes: DataFrame | None = None, rounds: int = 60) -> DataFrame:
     """state, component (least state of it), weakly connected: least labels spread along edges, then labels jump to their
     label's label, so the rounds grow with the logarithm of the diameter."""
@@ -41,15 +45,21 @@ def largest_component(edges: DataFrame) -> DataFrame:
 
 
 def reach(edges: DataFrame, seeds: DataFrame, rounds: int = 10_000) -> DataFrame:
-    """state, level: breadth-first levels from ``seeds`` (state)."""
-    seen = written(seeds.select("state", F.lit(0).alias("level")), "reach")
-    front = seen
+    """state, level: breadth-first levels from ``seeds`` (state). Each level writes its own states only; what was seen is the union of the levels."""
+    levels = [written(seeds.select("state", F.lit(0).alias("level")), "reach")]
     for level in range(1, rounds):
-        new = edges.join(front.select(F.col("state").alias("src")), "src", "left_semi").select(F.col("dst").alias("state")).distinct().join(seen.select("state"), "state", "left_anti")
-        front = written(new.withColumn("level", F.lit(level)), "front")
-        if front.isEmpty():
-            return seen
-        seen = written(seen.unionByName(front), "reach")
+        front = levels[-1].select(F.col("state").alias("src"))
+        new = edges.join(front, "src", "left_semi").select(F.col("dst").alias("state")).distinct()
+        for known in levels:
+            new = new.join(known.select("state"), "state", "left_anti")
+        new = written(new.withColumn("level", F.lit(level)), "reach")
+        if new.isEmpty():
+            return reduce(DataFrame.unionByName, levels)
+        levels.append(new)
+        if len(levels) > MERGE_LEVELS:  # a long chain of small levels: one table, rewritten once in so many levels
+            whole = written(reduce(DataFrame.unionByName, levels[:-1]), "reach")
+            discard(*levels[:-1])
+            levels = [whole, levels[-1]]
     raise RuntimeError("too many levels")
 
 

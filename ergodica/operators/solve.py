@@ -27,7 +27,7 @@ from .chain import Chain, MatrixFreeChain
 from .convergence import ResidualStop, residual
 from .cost import CostLedger
 from .extract import combine, extract_window, tsqr
-from .kernel import _next_check, solve_arrays, task_edges
+from .kernel import _next_check, solve_arrays, start_block, task_edges
 from .smalldense import image_of, truncate
 from .step import CHUNK, propagate, propagate_columns, scans
 
@@ -87,7 +87,7 @@ def iterate(
     chain, join, keep = _ready(chain, width, join)
     nodes = chain.nodes()
     spark = nodes.sparkSession
-    x = keep(blocks.start(nodes, width, seed, start) if isinstance(start, str) else blocks.user_start(nodes, start))
+    x = keep(blocks.start(nodes, width, seed, start) if isinstance(start, str) else blocks.warm_start(nodes, width, seed, start))
     move = propagate_columns if layout == "columns" else lambda c, b: propagate(c, b, join)
     every, k, converged, stop = check_every if isinstance(check_every, int) else 4, 0, False, ResidualStop(tol)
     found, vector, res, ring = None, x, 1.0, [x]
@@ -223,14 +223,18 @@ def _pair(x: DataFrame, z: DataFrame) -> tuple[DataFrame, list[list[str]]]:
 
 
 def solve_local(chain: Chain, **options) -> StationaryResult:
-    """A chain within the planner's local budget, solved in numpy by one task; restarts, preferences and dangling states go with it."""
+    """A chain within the planner's local budget, solved in numpy by one task; restarts, preferences, dangling states and a first column to start
+    from (``start``: state, x0) go with it."""
     null = lambda kind: F.lit(None).cast(kind)
     sent = chain.edges.select(F.lit(0).alias("kind"), "src", "dst", "prob").unionByName(chain.nodes().select(F.lit(1).alias("kind"), F.col("state").alias("src"), null("long").alias("dst"), null("double").alias("prob")))
     if chain.preference is not None:
         sent = sent.unionByName(chain.preference.select(F.lit(2).alias("kind"), F.col("state").alias("src"), null("long").alias("dst"), F.col("share").cast("double").alias("prob")))
     if chain.dangling is not None:
         sent = sent.unionByName(chain.dangling.select(F.lit(3).alias("kind"), F.col("state").alias("src"), null("long").alias("dst"), null("double").alias("prob")))
-    follow, name, given, lost = chain.follow, chain.name, chain.preference is not None, chain.dangling is not None
+    warm = options.pop("start") if isinstance(options.get("start"), DataFrame) else None
+    if warm is not None:
+        sent = sent.unionByName(warm.select(F.lit(4).alias("kind"), F.col("state").alias("src"), null("long").alias("dst"), F.col("x0").alias("prob")))
+    follow, name, given, lost, begins = chain.follow, chain.name, chain.preference is not None, chain.dangling is not None, warm is not None
 
     def one(t: pa.Table) -> pa.Table:
         kind = t.column("kind").to_numpy()
@@ -242,7 +246,14 @@ def solve_local(chain: Chain, **options) -> StationaryResult:
             np.add.at(preference, np.searchsorted(states, of(2).column("src").to_numpy()), of(2).column("prob").to_numpy())
         if lost:
             dangling = np.isin(states, of(3).column("src").to_numpy())
-        r = solve_arrays(*task_edges(of(0)), states=states, follow=follow, chain=name, preference=preference, dangling=dangling, **options)
+        begin = {}
+        if begins:
+            first = np.zeros(len(states))
+            np.add.at(first, np.searchsorted(states, of(4).column("src").to_numpy()), of(4).column("prob").to_numpy())
+            begin["start"] = start_block(len(states), options.get("width", 1), options.get("seed", 0))
+            if first.sum() > 0:
+                begin["start"][:, 0] = first / first.sum()
+        r = solve_arrays(*task_edges(of(0)), states=states, follow=follow, chain=name, preference=preference, dangling=dangling, **begin, **options)
         told = json.dumps({"log": r.log, "ledger": r.ledger.as_dict(), "converged": r.converged, "residual": r.residual, "rank": r.rank, "least": r.least}, default=float)
         return pa.table([pa.array([None, *r.states.tolist()], pa.int64()), pa.array([None, *r.pi.tolist()], pa.float64()), pa.array([told] + [None] * len(states), pa.string())], names=["state", "pi", "told"])
 

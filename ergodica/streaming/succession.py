@@ -81,13 +81,22 @@ class Follow(StatefulProcessor):
         self.order = order
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.held = handle.getValueState("held", _held(self.order))
+        self.handle, self.held = handle, handle.getValueState("held", _held(self.order))
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timers) -> Iterator[pd.DataFrame]:
         held, pairs = _merge(key[0], self.held.get() if self.held.exists() else None, rows, timers.getCurrentWatermarkInMs())
         self.held.update(held)
+        for old in list(self.handle.listTimers()):
+            self.handle.deleteTimer(old)
+        if held[0]:
+            self.handle.registerTimer(max(int(held[0][-1] // 1000) + MARGIN_MS, timers.getCurrentWatermarkInMs() + 1))
         yield pairs
 
+    def handleExpiredTimer(self, key, timers, expired) -> Iterator[pd.DataFrame]:
+        """A key silent for a day beyond the watermark is forgotten."""
+        self.held.clear()
+        return iter(())
+
     def close(self) -> None:
         pass
 
@@ -139,33 +148,45 @@ def followed_by(a: DataFrame, b: DataFrame, key: str, ts: str, within: str = "1
 
 
 class Refresher:
-    """For ``foreachBatch``: adds a batch's counts to what is held and solves again from the last vector.
+    """For ``foreachBatch``: adds a batch's counts to those held and solves again from the last vector.
 
-    The held counts are one row for each pair of states (the type chain); the last vector replaces the first start column.
+    Everything is in files: counts (one row for each pair of states) under ``path``-counts, vectors (state, pi, iterations) under ``path``, a folder for each
+    epoch. An epoch always starts from the latest one before it and replaces its own folders, so a replay counts nothing twice and a restart
+    goes on where the files end. The engine is the planner's choice; states without exits spread their mass over all.
     """
 
     def __init__(self, path: str, width: int = 4, tol: float = 1e-10):
-        self.path, self.width, self.tol, self.counts, self.vector = path, width, tol, None, None
+        self.path, self.counts, self.width, self.tol = path, f"{path}-counts", width, tol
 
-    def __call__(self, batch: DataFrame, epoch: int) -> None:
-        from ..operators.chain import normalise
-        from ..operators.kernel import solve_arrays, start_block
-        from ..sources.work import written
+    @staticmethod
+    def _epochs(spark: SparkSession, path: str) -> list[int]:
+        at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}/epoch=*")
+        found = at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).globStatus(at)
+        return sorted(int(f.getPath().getName().split("=")[1]) for f in found or [])
 
-        import numpy as np
+    def _remove(self, spark: SparkSession, path: str) -> None:
+        at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+    def __call__(self, batch: DataFrame, epoch: int) -> None:
+        from ..operators import chain as chains
+        from ..operators.solve import solve
 
+        spark = batch.sparkSession
+        earlier = [e for e in self._epochs(spark, self.counts) if e < epoch]
         new = batch.groupBy("src", "dst").agg(weight(batch).cast("double").alias("w"))
-        self.counts = written(new if self.counts is None else self.counts.unionByName(new).groupBy("src", "dst").agg(F.sum("w").alias("w")), "counts")
-        t = normalise(self.counts.where("w <> 0")).toPandas()
-        if t.empty:
+        if earlier:
+            new = spark.read.parquet(f"{self.counts}/epoch={earlier[-1]}").unionByName(new).groupBy("src", "dst").agg(F.sum("w").alias("w"))
+        new.write.mode("overwrite").parquet(f"{self.counts}/epoch={epoch}")
+        for e in earlier[:-1]:  # a replay needs the one before it only
+            self._remove(spark, f"{self.counts}/epoch={e}")
+        chain = chains.from_weights(spark.read.parquet(f"{self.counts}/epoch={epoch}"), "stream")
+        n = chain.states.count()
+        if not n:
             return
-        names = sorted(set(t.src) | set(t.dst))
-        n, at = len(names), {s: i for i, s in enumerate(names)}
-        start = start_block(n, min(self.width, n), seed=epoch)
-        if self.vector is not None:
-            start[:, 0] = [self.vector.get(s, 0.0) for s in names]
-            start[:, 0] /= start[:, 0].sum()
-        r = solve_arrays(t.src.map(at).to_numpy(np.int64), t.dst.map(at).to_numpy(np.int64), t.prob.to_numpy(), width=start.shape[1], tol=self.tol, start=start, states=np.arange(n), check_every=2)
-        self.vector = dict(zip(names, r.pi.tolist(), strict=True))
-        rows = [(epoch, s, float(p), int(r.ledger.iterations)) for s, p in self.vector.items()]
-        batch.sparkSession.createDataFrame(rows, "epoch long, state string, pi double, iterations long").write.mode("append").parquet(self.path)
+        start = "random"
+        if solved := [e for e in self._epochs(spark, self.path) if e < epoch]:
+            last = spark.read.parquet(f"{self.path}/epoch={solved[-1]}").select(F.col("state").alias("label"), F.col("pi").alias("x0"))
+            start = chain.states.join(last, "label").select("state", "x0")
+        r = solve(chains.fix_dangling(chain, "uniform"), min(self.width, n), tol=self.tol, check_every=2, seed=epoch, start=start)
+        r.pi.select(F.col("label").alias("state"), "pi", F.lit(int(r.ledger.iterations)).cast("long").alias("iterations")).write.mode("overwrite").parquet(f"{self.path}/epoch={epoch}")
