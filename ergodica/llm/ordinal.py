@@ -9,7 +9,7 @@ length, so long texts do not add up noise), and a few shares of character kinds.
 Fitted in numpy on the driver on a bounded sample of ``SAMPLE_DOCS`` rated documents; scoring is one narrow pass.
 
 Defined results. Null or empty text: grade expectation 0, tail 0, not kept. No rated document: all grades equally likely,
-all texts kept. Repeated rows: judged alike. Null doc_id: judged, never learnt from. Conflicting ratings of one document: its lowest grade. Extra columns are ignored.
+all texts but null and empty ones kept. Repeated rows: judged alike. A tail of exactly ``least``: kept. Null doc_id: judged, never learnt from. Conflicting ratings of one document: its lowest grade. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -70,6 +70,20 @@ class CumulativeLink:
         """P(grade >= k) for k = 1 .. grades - 1."""
         return 1 / (1 + np.exp(np.clip(self.thresholds[None, :] - np.asarray(latent)[:, None], -40, 40)))
 
+    def slopes(self, grade: int, latent: float) -> tuple[float, float, np.ndarray]:
+        """Negative log likelihood of a document's grade, and its derivatives by the latent value and by each threshold."""
+        c = 1 / (1 + np.exp(np.clip(latent - self.thresholds, -40, 40)))  # P(grade <= k)
+        has_up, has_low = grade < self.grades - 1, grade > 0
+        up, low = (c[grade] if has_up else 1.0), (c[grade - 1] if has_low else 0.0)
+        p = max(up - low, 1e-9)
+        d_up, d_low = (up * (1 - up) / p if has_up else 0.0), (low * (1 - low) / p if has_low else 0.0)
+        d_t = np.zeros(len(c))
+        if has_up:
+            d_t[grade] -= d_up
+        if has_low:
+            d_t[grade - 1] += d_low
+        return float(-np.log(p)), d_up - d_low, d_t
+
     def fit(self, texts: list[str], y: np.ndarray, epochs: int = 15, l2: float = 0.1, seed: int = 3) -> CumulativeLink:
         """Adagrad on the exact negative log likelihood, grades weighted by the root of their rarity."""
         rng = np.random.default_rng(seed)
@@ -83,19 +97,8 @@ class CumulativeLink:
             rate = 0.5 / (1 + 0.3 * epoch)
             for i in rng.permutation(len(rows)):
                 ids, x, s = rows[i]
-                t = self.thresholds
-                z = self.words[ids] @ x + self.shares @ s
-                c = 1 / (1 + np.exp(np.clip(z - t, -40, 40)))  # P(grade <= k)
-                up, low = (c[y[i]] if y[i] < self.grades - 1 else 1.0), (c[y[i] - 1] if y[i] else 0.0)
-                p = max(up - low, 1e-9)
-                d_up = up * (1 - up) / p if y[i] < self.grades - 1 else 0.0
-                d_low = low * (1 - low) / p if y[i] else 0.0
-                d_z = weight[y[i]] * (d_up - d_low)  # of the loss, in z
-                d_t = np.zeros(len(t))
-                if y[i] < self.grades - 1:
-                    d_t[y[i]] -= weight[y[i]] * d_up
-                if y[i]:
-                    d_t[y[i] - 1] += weight[y[i]] * d_low
+                _, d_z, d_t = self.slopes(int(y[i]), self.words[ids] @ x + self.shares @ s)
+                d_z, d_t = weight[y[i]] * d_z, weight[y[i]] * d_t
                 g = np.float32(d_z) * x + np.float32(l2) * self.words[ids]
                 g_words[ids] += g * g
                 self.words[ids] -= np.float32(rate) * g / np.sqrt(g_words[ids])
@@ -124,7 +127,8 @@ def train(docs: DataFrame, rated: DataFrame, count: int = 3, sample_docs: int =
     if (bound := chosen.agg(F.max("o")).first()[0]) is None:
         return None
     few = rated.where(order <= bound)
-    rows = slim(docs, "doc_id", "text").where((order <= bound) & F.col("text").isNotNull()).join(few, "doc_id").select("doc_id", "text", "grade").limit(4 * sample_docs)
+    rows = slim(docs, "doc_id", "text").where((order <= bound) & F.col("text").isNotNull()).join(few, "doc_id").select("doc_id", "text", "grade")
+    rows = rows.orderBy(order, "doc_id", F.xxhash64("text"), "text").limit(4 * sample_docs)  # a document's repeated rows come in a fixed order
     rows = sorted((r.doc_id, r.text, r.grade) for r in rows.collect())
     if not rows:
         return None
@@ -139,7 +143,7 @@ def score(docs: DataFrame, model: CumulativeLink | None, least: float = 0.93, to
         texts = t.column("text").to_pylist()
         some = np.array([bool(x) for x in texts])
         if held is None:
-            tails = np.full((len(texts), 2), [2 / 3, 1 / 3])
+            tails = np.full((len(texts), 2), [2 / 3, 1 / 3])  # three grades, equally likely
         else:
             m = CumulativeLink(held[0])
             m.words[held[2]] = held[1]
@@ -147,6 +151,7 @@ def score(docs: DataFrame, model: CumulativeLink | None, least: float = 0.93, to
             tails = m.tails(np.array([m.latent(*features(x)) for x in texts]))
         tails = tails * some[:, None]
         tail = tails[:, top - 1]
-        yield pa.table([t.column("doc_id"), pa.array(tails.sum(axis=1)), pa.array(tail), pa.array((tail >= least) & some)], names=["doc_id", "expected_grade", "tail", "kept"])
+        keep = some if held is None else (tail >= least) & some
+        yield pa.table([t.column("doc_id"), pa.array(tails.sum(axis=1)), pa.array(tail), pa.array(keep)], names=["doc_id", "expected_grade", "tail", "kept"])
 
     return in_batches(slim(docs, "doc_id", "text"), kernel, "doc_id long, expected_grade double, tail double, kept boolean")
