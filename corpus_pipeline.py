@@ -1,4 +1,9 @@
-"""A training corpus from ``documents``: five stages, each an operator of the ``llm`` subpackage applied to all that the one before kept."""
+"""A training corpus from ``documents``: five stages, each an operator of the ``llm`` subpackage applied to all that the one before kept.
+
+Defined results. Null and empty texts, and texts without letters, go in the first stage (they have no language). Null ids: kept where their text is, linked with
+nothing and cut by nothing. Repeated rows: kept or rejected alike by the filters; near duplicates compare ids, so rows that repeat an id stay together. Ties: the
+least id stays. Texts are read whole, however long. Extra columns are carried to the last stage, whatever their names. Empty tables: no rows from any stage.
+"""
 
 from __future__ import annotations
 
@@ -43,7 +48,7 @@ STAGES = [
     ("best_fit_packing", packing_stage),
 ]
 
-ORACLE_SQL = None  # a trained network and a tokenizer have no SQL; tests/llm holds each stage against brute force
+ORACLE_SQL = None  # a trained network and a tokenizer have no SQL; tests/llm/test_pipeline.py holds stages 2 to 4 against brute force, packed ids against the tokenizer's
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
