@@ -20,7 +20,7 @@ def ids(df):
     return sorted(r.doc_id for r in df.select("doc_id").distinct().collect())
 
 
-def test_stages(spark, outputs, sf):
+def test_stages(spark, outputs, sf, contaminates):
     docs = outputs["documents"]
     for name in ("language_id", "near_dedup", "substring_dedup", "decontamination"):
         assert outputs[name].columns == docs.columns
@@ -43,15 +43,49 @@ def test_stages(spark, outputs, sf):
                 parent[y] = x
     gone = {d for d in order if root(d) != d}
     assert ids(outputs["near_dedup"]) == sorted(set(order) - gone)
-    assert set(ids(outputs["best_fit_packing"])) == set(ids(outputs["decontamination"]))
-    seen: dict[tuple, int] = {}
-    for r in sorted(outputs["substring_dedup"].collect(), key=lambda r: r.doc_id):
-        w = (r.text or "").split()
-        for i in range(len(w) - 12):
-            seen.setdefault(tuple(w[i : i + 13]), r.doc_id)
-    bench = [r.text.split() for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
-    left = [" ".join((r.text or "").split()) for r in outputs["decontamination"].collect()]
-    assert not any(" ".join(b) in t for b in bench for t in left)
+    first: dict[tuple, int] = {}
+    split = {r.doc_id: (r.text or "").encode().split() for r in outputs["near_dedup"].collect()}
+    for d in sorted(split):
+        for i in range(len(split[d]) - 12):
+            first.setdefault(tuple(split[d][i : i + 13]), d)
+    want = {}
+    for d, w in split.items():
+        cut = {i + j for i in range(len(w) - 12) if first[tuple(w[i : i + 13])] < d for j in range(13)}
+        if not cut or len(cut) < len(w):
+            want[d] = [x for i, x in enumerate(w) if i not in cut]
+    cut_texts = {r.doc_id: r.text for r in outputs["substring_dedup"].collect()}
+    assert {d: (t or "").encode().split() for d, t in cut_texts.items()} == want
+    bench = [r.text for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
+    assert ids(outputs["decontamination"]) == sorted(d for d, t in cut_texts.items() if not any(contaminates(t, b) for b in bench))
+
+
+def test_packing_holds_every_token(outputs):
+    import numpy as np
+    from tokenizers import Tokenizer
+
+    from ergodica.llm import packing
+
+    tokenizer, pieces = Tokenizer.from_file(packing.tokenizer_path()), {}
+    for r in outputs["best_fit_packing"].collect():
+        pieces.setdefault(r.doc_id, {})[r.piece] = r.ids
+    texts = {r.doc_id: r.text for r in outputs["decontamination"].collect()}
+    assert pieces.keys() == texts.keys()
+    for d, t in texts.items():
+        assert np.concatenate([pieces[d][k] for k in sorted(pieces[d])]).tolist() == [*tokenizer.encode(t or "", add_special_tokens=False).ids, 0]
+
+
+def test_odd_rows_through_every_stage(spark, docs_of, odd, words, sf):
+    """Nulls, empty texts, repeated rows, clashing names and an empty table; a text of megabytes."""
+    long = " ".join(words[i * i % 2999] for i in range(300_000))
+    docs = docs_of([*odd, (1, " ".join(words[:80])), (2, " ".join(words[:80])), (3, long), (4, None)])
+    for table in (docs, docs.where("false")):
+        now = table
+        for name, stage in cp.STAGES:
+            now = cp.written(stage(spark, now, sf), name)
+            if name != "best_fit_packing":
+                assert now.columns == docs.columns
+        left = {r.doc_id for r in now.select("doc_id").distinct().collect()}
+        assert left == set() if table is not docs else {1, 3, 103} <= left and not left & {2, 4, 100, 101, 102}
 
 
 def test_run(spark, sf, outputs):
