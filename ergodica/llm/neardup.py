@@ -29,11 +29,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import in_batches, slim, written
+from .common import in_batches, joined_by_key, slim, written
 from .components import components
 
 REGISTERS, BANDS = 128, 32
 HUB_ROUNDS = 2
+HUB_PAIRS = 2048  # pairs of one hub that are checked in one place
 BLOCK = 1024  # documents of one side of an exact block comparison
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 
@@ -129,9 +130,15 @@ def _similar(a: set, b: set, num: int, den: int) -> bool:
 
 
 def _confirmed(pairs: DataFrame, texts: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """Of pairs (a, hub) those whose full sets are similar. Sorted by hub within a task, a hub's set is made once."""
-    hubs = texts.select(F.col("doc_id").alias("hub"), F.col("text").alias("hub_text")).join(pairs.select("hub").distinct(), "hub", "left_semi")
-    with_text = pairs.join(texts.select(F.col("doc_id").alias("a"), "text"), "a").join(hubs, "hub")
+    """Of pairs (a, hub) those whose full sets are similar. A hub's pairs go to as many tasks as they have times ``HUB_PAIRS``, each with a copy of its
+    text; sorted by hub within a task, its set is made once."""
+    pairs = written(pairs, "pairs")
+    many = pairs.groupBy("hub").agg(F.ceil(F.count("*") / HUB_PAIRS).cast("int").alias("salts"))
+    hubs = texts.select(F.col("doc_id").alias("hub"), F.col("text").alias("hub_text")).join(many, "hub").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).drop("salts")
+    wide = written(many.where("salts > 1").withColumn("n", F.col("salts") * HUB_PAIRS), "wide")
+    salted = joined_by_key(pairs, wide, "hub").withColumn("salt", F.pmod(F.xxhash64("a"), F.col("salts")).cast("int")).drop("salts")
+    dealt = salted.unionByName(pairs.join(wide.select("hub"), "hub", "left_anti").withColumn("salt", F.lit(0)))
+    with_text = dealt.join(texts.select(F.col("doc_id").alias("a"), "text"), "a").join(hubs, ["hub", "salt"])
 
     def kernel(t: pa.Table) -> Iterator[pa.Table]:
         sets: dict[str, set] = {}
@@ -148,9 +155,9 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, n: int, num: int, den: int) -
 
 def _open(members: DataFrame, comp: DataFrame) -> DataFrame:
     """Members (doc_id, key) of bands whose documents still lie in more than one component, with their component."""
-    now = members.join(comp.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
-    mixed = now.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key")
-    return now.join(mixed, "key", "left_semi")
+    now = written(members.join(comp.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id")), "placed")
+    mixed = now.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("n")).where("lo < hi").select("key", "n")
+    return joined_by_key(now, written(mixed, "mixed"), "key")
 
 
 def _hashed_sets(texts: DataFrame, n: int) -> DataFrame:
@@ -203,13 +210,14 @@ def spanning_links(ids: np.ndarray, comp: np.ndarray, block: np.ndarray, sets: l
 
 
 def _exact_rest(open_: DataFrame, texts: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """Every two documents that share an open band and lie in different components, compared exactly.
+    """Every two documents that share an open band and lie in different components, compared by the hashes of their full sets; callers confirm
+    the few links that come out on the words.
 
     A band's documents are dealt into blocks of about ``BLOCK``; two blocks meet in one cell and are compared within it,
     so what travels are documents times blocks, never pairs, and what is held is two blocks.
     """
-    sizes = open_.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
-    dealt = open_.join(sizes, "key").withColumn("block", F.pmod(F.xxhash64("doc_id", F.lit(3)), F.col("blocks")).cast("int"))
+    sizes = open_.groupBy("key").agg(F.count("*").alias("n")).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
+    dealt = joined_by_key(open_, written(sizes, "sizes"), "key").withColumn("block", F.pmod(F.xxhash64("doc_id", F.lit(3)), F.col("blocks")).cast("int"))
     meet = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
     cells = dealt.select("key", "doc_id", "component", "block", meet).select(
         "key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "doc_id", "component", "block"
@@ -257,9 +265,9 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: tuple[int, int]
     real = marked.where(F.col("doc_id").isNotNull() & F.col("print").isNotNull())
     groups = written(real.groupBy("print").agg(F.min("doc_id").alias("rep")), "prints")
     reps = real.join(groups, (real["print"] == groups["print"]) & (real["doc_id"] == groups["rep"]), "left_semi")
-    keys = reps.select("doc_id", F.explode("bands").alias("key"))
-    shared = keys.groupBy("key").agg(F.min("doc_id").alias("hub"), F.max("doc_id").alias("last")).where("hub < last").select("key", "hub")
-    members = written(keys.join(shared, "key"), "members")
+    keys = written(reps.select("doc_id", "bands"), "reps").select("doc_id", F.explode("bands").alias("key"))
+    shared = keys.groupBy("key").agg(F.min("doc_id").alias("hub"), F.max("doc_id").alias("last"), F.count("*").alias("n")).where("hub < last").select("key", "hub", "n")
+    members = written(joined_by_key(keys, written(shared, "shared"), "key"), "members")
     candidates = members.select("doc_id").distinct()
     texts = written(slim(docs, "doc_id", "text").join(candidates, "doc_id", "left_semi"), "texts")
 
@@ -272,10 +280,11 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: tuple[int, int]
         if members_open.isEmpty():
             break
         if turn == HUB_ROUNDS - 1:
-            more = _exact_rest(members_open, texts, words, num, den)
+            more = _confirmed(_exact_rest(members_open, texts, words, num, den).select("a", F.col("b").alias("hub")), texts, words, num, den)
         else:
             hub = F.min_by(F.struct("doc_id", "component"), F.xxhash64("doc_id", "key", F.lit(turn)))
-            with_hub = members_open.join(members_open.groupBy("key").agg(hub.alias("h")), "key")
+            hubs = written(members_open.groupBy("key").agg(hub.alias("h"), F.count("*").alias("n")), "hubs")
+            with_hub = joined_by_key(members_open, hubs, "key")
             pairs = with_hub.where(F.col("h.component") != F.col("component")).select(F.col("doc_id").alias("a"), F.col("h.doc_id").alias("hub")).distinct()
             more = _confirmed(pairs, texts, words, num, den)
         links = written(links.unionByName(more), "confirmed")
