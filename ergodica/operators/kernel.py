@@ -64,12 +64,19 @@ class Slots:
                 if len(own):
                     idx = start[own][None, :] + np.arange(k)[:, None]
                     self.groups.append((to is spot, to[own], np.ascontiguousarray(src[idx]), np.ascontiguousarray(prob[idx])))
-        self.src, self.dst, self.prob = src, dst, prob
+        self.src, self.prob, self.flow = src, prob, np.empty(len(prob))
+        self.entered = np.flatnonzero(many)
+        self.starts = (np.cumsum(many) - many)[self.entered]
 
     def step(self, x: np.ndarray) -> np.ndarray:
         width = x.shape[1]
         if width <= 8:  # lone vectors, one after the other
-            return np.stack([np.bincount(self.dst, self.prob * v[self.src], self.n) for v in np.ascontiguousarray(x.T)], axis=1)
+            out = np.zeros((self.n, width))
+            for j, v in enumerate(np.ascontiguousarray(x.T)):
+                np.take(v, self.src, out=self.flow, mode="clip")
+                self.flow *= self.prob
+                out[self.entered, j] = np.add.reduceat(self.flow, self.starts) if len(self.starts) else 0.0
+            return out
         out, part = np.zeros((self.n, width)), np.empty((self.extra, width))
         chunk = max(64, CACHE_DOUBLES // width)
         gathered, total = np.empty((chunk, width)), np.empty((chunk, width))

@@ -182,7 +182,7 @@ def word_chain_top100(s, d):
     w = builders.word_succession(load(s, d, "documents"))
     other = w.where("src <> dst").select("src").distinct()
     c = C.from_weights(w.join(other, "src", "left_semi"), "words")
-    top = results.top_states(_solved(c, depth=8, check_every=20).select(F.col("label").alias("state"), F.round("pi", 9).alias("pi")), 100)
+    top = results.top_states(_solved(c, depth=8, check_every=60).select(F.col("label").alias("state"), F.round("pi", 9).alias("pi")), 100)
     return top.select(F.col("state").alias("label"), F.round("pi", 6).alias("pi"))
 
 
