@@ -170,7 +170,7 @@ def read(spark: SparkSession, path: str) -> DataFrame:
 
 def store(spark: SparkSession, path: str) -> tuple[DataFrame, DataFrame]:
     """(payloads: strong, payload, one row for each digest; headers: page_id, record_type, refers_to, strong, place, header), from a written table of records."""
-    records = written(read(spark, path), "warc")
+    records = written(read(spark, path), "warc", "zstd")
     payloads = records.where("record_type = 'response'").groupBy("strong").agg(F.first("payload").alias("payload"))
     return payloads, records.drop("payload")
 
