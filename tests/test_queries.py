@@ -5,8 +5,11 @@ import pytest
 from ergodica import oracles, queries
 from verify import connect, rows_of, same
 
-HEAVY = {"event_block_distributed", "event_window_distributed", "periods", "strong_components", "dangling_repaired"}  # held to other truths in test_spark
-ONE_COMPONENT = {"regional_block_s5", "regional_window", "regional_steps_fixed", "host_rank_undirected", "validated", "periods"}  # need more than the smallest tables
+HEAVY = {"event_block_distributed", "event_window_distributed", "periods", "strong_components"}  # held to other truths in test_spark
+ONE_COMPONENT = {  # need more than the smallest tables
+    "regional_block_s5", "regional_block_distributed", "regional_laid_out", "regional_window", "regional_steps_fixed", "host_rank_undirected", "host_rank_directed", "host_rank_distributed", "validated",
+    "grid_sweep", "savings_cube", "spectrum_leading", "spectrum_recommend", "width_sweep", "extraction_ablation", "image_ablation", "check_ablation", "hour_block_distributed", "accuracy_measures", "components", "knn_lsh_recall", "similarity_savings", "dangling_states", "dangling_repaired",
+}
 
 
 @pytest.fixture(scope="module")
