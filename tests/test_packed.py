@@ -45,3 +45,7 @@ def test_packed_equals_stored(spark, monkeypatch):
     assert not packed.fits(10**8, 4)
     with pytest.raises(Exception, match="without exits"):
         solve.solve(C.FactoredChain((w.where("src > 0"),)), 1)
+
+
+def test_two_step_walk_on_copies(spark, copies):
+    equals_sql(spark, copies, "supplier_two_step")
