@@ -49,3 +49,18 @@ def test_packed_equals_stored(spark, monkeypatch):
 
 def test_two_step_walk_on_copies(spark, copies):
     equals_sql(spark, copies, "supplier_two_step")
+
+
+def test_two_step_edges_in_blocks(spark, copies):
+    """Small blocks and a hub give the edges of the plain join; no plan sums products by pairs of states."""
+    ab = spark.createDataFrame([(a, b, float(1 + (a * b) % 3)) for a in range(30) for b in range(11) if a == 4 or (a + b) % 4 == 0], "a long, b long, w double")
+    bc = ab.select("b", F.col("a").alias("c"), "w")
+    got = builders.two_step(ab, bc, block_rows=9)
+    pairs = ab.join(bc.withColumnRenamed("w", "v"), "b").join(bc.groupBy("b").agg(F.sum("w").alias("t")), "b")
+    want = C.normalise(pairs.groupBy(F.col("a").alias("src"), F.col("c").alias("dst")).agg(F.sum(F.expr("w * v / t")).alias("w")), keep_counts=True)
+    both = got.join(want.select("src", "dst", F.col("w").alias("w2"), F.col("prob").alias("p2")), ["src", "dst"], "full_outer")
+    assert got.count() == want.count() and both.where("w2 is null or w is null or abs(w - w2) > 1e-12 or abs(prob - p2) > 1e-12").isEmpty()
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapGroupsInArrow" in plan and "HashAggregate(keys=[a" not in plan
+    assert builders.two_step(ab.where("false"), bc).isEmpty()
+    equals_sql(spark, copies, "two_step_edges")
