@@ -5,6 +5,7 @@ import pytest
 from ergodica import queries
 
 NAMES = [
+    "five_state_pi",
     "five_state_extractions",
     "five_state_eigen",
     "five_state_counts",
