@@ -5,6 +5,7 @@ import pytest
 from ergodica import queries
 
 NAMES = [
+    "planner_choices",
     "matrix_free_equal",
     "five_state_rates",
     "five_state_pi",
