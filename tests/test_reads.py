@@ -5,6 +5,7 @@ import pytest
 from ergodica import queries
 
 NAMES = [
+    "predicted_steps",
     "planner_choices",
     "matrix_free_equal",
     "five_state_rates",
