@@ -5,6 +5,7 @@ import pytest
 from ergodica import queries
 
 NAMES = [
+    "release_site_states",
     "release_site_source",
     "predicted_steps",
     "planner_choices",
