@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from ergodica import oracles, queries
 from ergodica.operators import builders, packed, solve
 from ergodica.operators import chain as C
+from ergodica.plans import planner
 from verify import connect, rows_of, same
 
 
@@ -64,3 +65,39 @@ def test_two_step_edges_in_blocks(spark, copies):
     assert "FlatMapGroupsInArrow" in plan and "HashAggregate(keys=[a" not in plan
     assert builders.two_step(ab.where("false"), bc).isEmpty()
     equals_sql(spark, copies, "two_step_edges")
+
+
+def test_word_chain_in_blocks(spark, tmp_path, monkeypatch):
+    """Two vocabularies that never meet, words that mostly follow themselves, a word that does nothing else, rows without words: as SQL has it, in one task
+    and over blocks; the stored chain, for more words than fit, has the same transitions."""
+    texts = ["the cat and the dog and the end " + "so " * 700 + "the", "Le chat et le chien, et " + "ha " * 900 + "la fin et le", "the end and so the cat", "le chien et la", "um um um", "um", "", None, "..!"]
+    spark.createDataFrame([(i, x) for i, x in enumerate(texts)], "doc_id long, text string").repartition(3).write.parquet(f"{tmp_path}/documents.parquet")
+    d = str(tmp_path)
+
+    def con():
+        import duckdb
+
+        c = duckdb.connect()
+        c.execute(f"CREATE VIEW documents AS SELECT * FROM '{d}/documents.parquet/*.parquet'")
+        return c
+
+    want = rows_of(con().execute(oracles.oracle_sql()["word_chain_top100"]).df())
+    assert len(want) == 13
+    for edges in (planner.LOCAL_EDGES, 0):
+        monkeypatch.setattr(planner, "LOCAL_EDGES", edges)
+        monkeypatch.setattr(packed, "BLOCK_EDGES", 1 << 20 if edges else 300)
+        monkeypatch.setattr(packed, "PIECE_VISITS", 1 << 22 if edges else 1)
+        assert same(rows_of(queries.queries()["word_chain_top100"](spark, d).toPandas()), want)
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    c = builders.word_chain(docs).stored()
+    name = lambda x: c.states.select(F.col("state").alias(x), F.col("label").alias(f"{x}_word"))
+    got = c.edges.join(name("src"), "src").join(name("dst"), "dst").select("src_word", "dst_word", F.round("prob", 12)).collect()
+    plain = C.normalise(builders.word_succession(docs).where("src <> 'um'")).select("src", "dst", F.round("prob", 12)).collect()
+    assert sorted(map(tuple, got)) == sorted(map(tuple, plain))
+    nothing = builders.word_chain(docs.where("doc_id > 3"))
+    assert solve.solve(nothing, 1, 8).pi.isEmpty() and solve.solve(builders.word_chain(docs.where("false")), 1, 8).pi.isEmpty()
+
+
+def test_packed_weights():
+    for most, size in ((255, 1), (256, 2), (1 << 16, 4), (0.5, 8), (1 << 33, 8)):
+        assert len(packed.packed_weights(np.array([1.0, most]))) == 2 * size
