@@ -98,6 +98,26 @@ def test_word_chain_in_blocks(spark, tmp_path, monkeypatch):
     assert solve.solve(nothing, 1, 8).pi.isEmpty() and solve.solve(builders.word_chain(docs.where("false")), 1, 8).pi.isEmpty()
 
 
+def test_word_chain_beside_the_driver(spark, monkeypatch):
+    """Over ranges no vector of all words reaches the driver: nothing is broadcast or collected as Arrow."""
+    texts = ["a b c a d " + "a " * 30, "b d e a", "x y x z x", "q q q", "", None]
+    docs = spark.createDataFrame([(i, x) for i, x in enumerate(texts * 3)], "doc_id long, text string").repartition(2)
+
+    def refuse(*_, **__):
+        raise AssertionError("the driver would hold all words")
+
+    monkeypatch.setattr(planner, "LOCAL_EDGES", 0)
+    monkeypatch.setattr(packed, "BLOCK_EDGES", 30)
+    chain = builders.word_chain(docs)
+    with monkeypatch.context() as m:
+        m.setattr(type(docs), "toArrow", refuse)
+        m.setattr(type(spark.sparkContext), "broadcast", refuse)
+        r = solve.solve(chain, 1, 3, check_every=12, on_limit="raise")
+    words = " ".join(x for x in texts if x and x != "q q q").split()
+    got = {row.label: row.pi for row in r.pi.collect()}
+    assert r.converged and got.keys() == set(words) and all(abs(got[w] - words.count(w) / len(words)) < 1e-8 for w in got)
+
+
 def test_packed_weights():
     for most, size in ((255, 1), (256, 2), (1 << 16, 4), (0.5, 8), (1 << 33, 8)):
         assert len(packed.packed_weights(np.array([1.0, most]))) == 2 * size
